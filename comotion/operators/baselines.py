@@ -36,7 +36,7 @@ def overlap_chain(clusters: DataFrame, theta: float, members: str = "common", ma
     named = links.select("*", node("t", "cid").alias("a"), node("t2", "cid2").alias("b"))
     pieces = connected(named)
     keyed = clusters.withColumn("node", node("t", "cid")).join(pieces, "node").select("component", "node", "t", "members")
-    edges = named.join(pieces.withColumnRenamed("node", "a"), "a").select("component", "a", "b")
+    edges = named.join(pieces.withColumnRenamed("node", "a"), "a").select(F.col("component").alias("piece"), "a", "b")
     out = pa.schema([("members", pa.list_(pa.int64())), ("t_start", pa.int64()), ("t_end", pa.int64())])
 
     def walk(nodes: pa.Table, link: pa.Table) -> pa.Table:
@@ -58,7 +58,7 @@ def overlap_chain(clusters: DataFrame, theta: float, members: str = "common", ma
                 raise ValueError("more chains than max_paths")
         return chains._table([(list(v), s, z) for v, s, z in sorted(rows)], out)
 
-    found = keyed.groupBy("component").cogroup(edges.groupBy("component")).applyInArrow(walk, "members array<long>, t_start long, t_end long")
+    found = keyed.groupBy("component").cogroup(edges.groupBy("piece")).applyInArrow(walk, "members array<long>, t_start long, t_end long")
     return found.distinct().withColumn("lifetime", F.col("t_end") - F.col("t_start") + 1)
 
 

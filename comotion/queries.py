@@ -258,10 +258,10 @@ def _quality(s: DataFrame, theta: float) -> DataFrame:
 
 
 for _theta in (0.2, 0.4, 0.6, 0.8, 1.0):
-    register(f"overlap_quality_{round(_theta * 10)}", on("planted", lambda s, th=_theta: _quality(s, th)), overlap_sql(_theta, """, n as (select (select count(*) from o) as n_found, (select count(*) from v) as n_true,
+    register(f"overlap_quality_{round(_theta * 10)}", on("planted", lambda s, th=_theta: _quality(s, th)), overlap_sql(_theta, """, cnt as (select (select count(*) from o) as n_found, (select count(*) from v) as n_true,
         (select count(*) from o where not exists (select 1 from v where v.members = o.members and v.t0 = o.t0 and v.t1 = o.t1)) as n_false_pos,
         (select count(*) from v where not exists (select 1 from o where v.members = o.members and v.t0 = o.t0 and v.t1 = o.t1)) as n_false_neg)
-        select *, cast(floor(100.0*n_false_pos/nullif(n_found,0)) as bigint) as fp_pct, cast(floor(100.0*n_false_neg/nullif(n_true,0)) as bigint) as fn_pct from n"""))
+        select *, cast(floor(100.0*n_false_pos/nullif(n_found,0)) as bigint) as fp_pct, cast(floor(100.0*n_false_neg/nullif(n_true,0)) as bigint) as fn_pct from cnt"""))
 register("disc_groups", on("planted", lambda s: chain.finish(baselines.disc_groups(s, 2, 6, 8.0))))
 register("pair_join", on("planted", lambda s: baselines.pair_join(s, _P.e, 6)), f"{_near}, i as (select a, b, t, t - row_number() over (partition by a, b order by t) as g from p where a < b) select a, b, min(t) as t_start, max(t) as t_end from i group by a, b, g having count(*) >= 6")
 register("trajectory_mean_distance", on("supplier", lambda s: baselines.mean_distance(s).select("a", "b", "n_common", F.round("mean_dist", 5).alias("mean_dist"))), f"with {O.dense('supplier')} select a.oid as a, b.oid as b, count(*) as n_common, round(avg(sqrt((a.x-b.x)*(a.x-b.x)+(a.y-b.y)*(a.y-b.y))), 5) as mean_dist from d a join d b on a.t = b.t and a.oid < b.oid group by 1, 2")
