@@ -33,8 +33,6 @@ from comotion.llm.common import record, slices, text_bytes
 LEAST = 400
 GRAM = 100
 LARGE = 50_000
-#: Rows (16 to 32 bytes each) up to which positions within documents are broadcast; beyond, texts are shuffled.
-BROADCAST_ROWS = 1_000_000
 _SLICE = 1 << 20
 
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -200,10 +198,10 @@ def anchor_rows(named: DataFrame) -> DataFrame:
     return named.select("doc_id", "h", "text").mapInArrow(run, "fp long, ctx long, doc_id long, h long, pos long")
 
 
-def _contexts(named: DataFrame, wanted: DataFrame, small: bool) -> DataFrame:
+def _contexts(named: DataFrame, wanted: DataFrame) -> DataFrame:
     """(fp, ctx, before, after) for the (doc_id, h, fp, ctx, pos) of ``wanted``; ``before`` is reversed."""
     spots = wanted.groupBy("doc_id", "h").agg(F.collect_list(F.struct("fp", "ctx", "pos")).alias("spots"))
-    read = named.join(F.broadcast(spots) if small else spots, ["doc_id", "h"]).select("spots", "text")
+    read = named.join(spots, ["doc_id", "h"]).select("spots", "text")
     out = pa.schema([("fp", pa.int64()), ("ctx", pa.int64()), ("before", pa.binary()), ("after", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -284,20 +282,19 @@ def spans(docs: DataFrame) -> DataFrame:
     """(doc_id, h, spans) of documents with repeated bytes; spans are unmerged (start, end) pairs that may reach over the text's ends."""
     named = _named(docs)
     every = cut(anchor_rows(named))
-    often = every.groupBy("fp").agg(F.count("*").alias("n")).filter("n > 1").select("fp")
-    rows = cut(every.join(often, "fp"))
-    contexts = cut(rows.groupBy("fp", "ctx").agg(F.count("*").alias("c"), F.min(F.struct("doc_id", "h", "pos")).alias("one")))
+    # partial sums shrink copies before any shuffle; what meets by piece afterwards are different contexts
+    contexts = cut(every.groupBy("fp", "ctx").agg(F.count("*").alias("c"), F.min(F.struct("doc_id", "h", "pos")).alias("one")))
     group = contexts.groupBy("fp").agg(F.min("c").alias("least"), F.count("*").alias("m")).filter("least = 1 and m > 1").select("fp", "m")
     wanted = cut(contexts.join(group, "fp").select("fp", "ctx", "one.*", "m"))
-    n, most = wanted.agg(F.count("*"), F.coalesce(F.max("m"), F.lit(0))).first()
+    most = wanted.agg(F.coalesce(F.max("m"), F.lit(0))).first()[0]
     small = wanted.filter(F.col("m") <= LARGE)
-    held = _contexts(named, small, n <= BROADCAST_ROWS)
+    held = _contexts(named, small)
     ranges = held.repartition("fp").sortWithinPartitions("fp").mapInArrow(_solve, _RANGES)
     if most > LARGE:
-        ranges = ranges.union(_by_windows(_contexts(named, wanted.filter(F.col("m") > LARGE), n <= BROADCAST_ROWS)))
+        ranges = ranges.union(_by_windows(_contexts(named, wanted.filter(F.col("m") > LARGE))))
     full = contexts.filter("c > 1").select("fp", "ctx", F.lit(0).alias("lo"), F.lit(LEAST - GRAM).alias("hi"))
     ranges = full.union(ranges)
-    found = rows.join(ranges, ["fp", "ctx"]).select("doc_id", "h", F.struct((F.col("pos") - F.col("hi")).alias("a"), (F.col("pos") - F.col("lo") + LEAST).alias("z"), F.col("lo").alias("lo"), F.col("hi").alias("hi")).alias("s"))
+    found = every.join(ranges, ["fp", "ctx"]).select("doc_id", "h", F.struct((F.col("pos") - F.col("hi")).alias("a"), (F.col("pos") - F.col("lo") + LEAST).alias("z"), F.col("lo").alias("lo"), F.col("hi").alias("hi")).alias("s"))
     return found.groupBy("doc_id", "h").agg(F.collect_set("s").alias("spans"))
 
 
@@ -312,13 +309,12 @@ def removed(n: int, own: list[dict] | None) -> list[tuple[int, int]]:
 
 
 def _with_spans(docs: DataFrame, keep: list[str]) -> DataFrame:
-    found = cut(spans(docs))
-    few = found.agg(F.coalesce(F.sum(F.size("spans")), F.lit(0))).first()[0] <= BROADCAST_ROWS
+    found = spans(docs)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     right = found.select(F.col("doc_id").alias("_id"), F.col("h").alias("_h"), F.col("spans").alias("_spans"))
     left = docs.select(*keep, F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))).alias("_key"), F.xxhash64(text).alias("_hash"))
     on = (F.col("_key") == F.col("_id")) & (F.col("_hash") == F.col("_h"))
-    return left.join(F.broadcast(right) if few else right, on, "left").select(*keep, "_spans")
+    return left.join(right, on, "left").select(*keep, "_spans")
 
 
 def strip(docs: DataFrame) -> DataFrame:
