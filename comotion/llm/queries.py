@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from comotion.llm import bpe, lang_id, media_gif, ngram_join, packing, quality_cnn, quality_rules, repeats, sharding, toxicity
+from comotion.llm import bpe, lang_id, media_gif, ngram_join, oracle, packing, quality_cnn, quality_rules, repeats, sharding, toxicity
 from comotion.llm.common import held_out, table
 
 BPE_RANKS = "byte_bpe_multi_50k.tiktoken"
@@ -68,4 +68,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op5_ngram_jaccard_join": oracle.classes(), "op7_sharding": oracle.placement(), "op9_quality_rules": oracle.rules()}
