@@ -24,21 +24,22 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-import regex
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from comotion.llm.common import cut, doc_text, record, slices
+from comotion.llm.common import cut, doc_text, record, slices, text_bytes
 
 WINDOW = 4096
 GRID = 32
 END_ID = 2
-MEMO = 700_000
+MEMO = 900_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
-#: ASCII capitals are lower-cased and gaps unified here already; the tokenizer would do both.
-_TIDY = {i: " " for i in range(9, 14)} | {i: chr(i + 32) for i in range(65, 91)}
-#: Letters followed by ASCII marks other than the apostrophe: the tokenizer splits them at that border.
-_TAIL = regex.compile(r"(\p{L}+)([!-&(-/:-@\[-`{-~]+)").fullmatch
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
+#: ASCII marks other than the apostrophe: after a letter the tokenizer splits before them.
+_MARKS = "".join(chr(i) for i in range(33, 127) if not chr(i).isalnum() and chr(i) != "'")
+_RUN = 2048  # new words in one call of the tokenizer
 
 
 class Tokens:
@@ -51,33 +52,70 @@ class Tokens:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.memo: dict[str, bytes] = {"": b""}
+        vocabulary = self.tokenizer.get_vocab()
+        self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.closes[[i for token, i in vocabulary.items() if token.endswith("</w>")]] = True
+
+    def _one_by_one(self, parts: list[str]) -> None:
+        for part, e in zip(parts, self.tokenizer.encode_batch_fast(parts, add_special_tokens=False)):
+            self.memo[part] = array.array("I", e.ids).tobytes()
 
     def _learn(self, new: set[str]) -> None:
-        memo, raw, pairs = self.memo, {}, []
+        memo, words, other, pairs = self.memo, {}, {}, []
         for part in new:
-            if m := _TAIL(part):
-                pairs.append((part, *m.groups()))
-                raw |= dict.fromkeys(x for x in m.groups() if x not in memo)
-            else:
-                raw[part] = None
-        names = list(raw)
-        for part, e in zip(names, self.tokenizer.encode_batch_fast(names, add_special_tokens=False)):
-            ids = array.array("I", e.ids)
-            memo[part] = ids.tobytes()
-        for part, a, b in pairs:
-            memo[part] = memo[a] + memo[b]
-
-    def packed(self, texts: list[str | None]) -> Iterator[bytes]:
-        split = [(t or "").translate(_TIDY).split(" ") for t in texts]
-        new = set().union(*split)
+            core = part if part.isalpha() else part.rstrip(_MARKS)
+            if not core.isalpha():
+                other[part] = None
+                continue
+            if core is not part and len(core) < len(part):
+                mark = part[len(core) :]
+                pairs.append((part, core, mark))
+                if mark not in memo:
+                    other[mark] = None
+            if core not in memo:
+                words[core] = None
+        if other:
+            self._one_by_one(list(other))
+        words = list(words)
+        runs = [words[k : k + _RUN] for k in range(0, len(words), _RUN)]
+        # a word of letters is one pre-token, which ends in the only id that closes a word
+        for run, e in zip(runs, self.tokenizer.encode_batch_fast([" ".join(r) for r in runs], add_special_tokens=False)):
+            ids = np.array(e.ids, "<u4")
+            ends = (np.flatnonzero(self.closes[ids]) + 1) * 4
+            if len(ends) != len(run):  # some letter becomes more than one pre-token
+                self._one_by_one(run)
+                continue
+            raw, at = ids.tobytes(), 0
+            for word, z in zip(run, ends.tolist()):
+                memo[word] = raw[at:z]
+                at = z
+        for part, core, mark in pairs:
+            memo[part] = memo[core] + memo[mark]
+
+    def packed(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts of a string column, end to end, and the offsets of each text in them.
+
+        ASCII capitals are lower-cased and gaps cut here already; the tokenizer would do both. Only distinct parts are looked up.
+        """
+        data, offsets = text_bytes(column)
+        low = pa.Array.from_buffers(pa.large_string(), len(column), [None, pa.py_buffer(offsets), pa.py_buffer(_LOWER[data])])
+        split = pc.ascii_split_whitespace(low)
+        coded = pc.list_flatten(split).dictionary_encode()
+        words = coded.dictionary.to_pylist()
         if len(self.memo) > MEMO:
             self.memo = {"": b""}
-        new.difference_update(self.memo)
-        if new:
+        if new := set(words).difference(self.memo):
             self._learn(new)
-        get, end = self.memo.__getitem__, END_ID.to_bytes(4, "little")
-        for parts in split:
-            yield b"".join(map(get, parts)) + end
+        own = list(map(self.memo.__getitem__, words))
+        ids = np.frombuffer(b"".join(own), "<u4")
+        size = np.fromiter(map(len, own), np.int64, len(own)) // 4
+        start = np.cumsum(size) - size
+        codes = coded.indices.to_numpy()
+        n = size[codes]
+        ends = np.cumsum(n)
+        spread = np.arange(ends[-1] if len(ends) else 0) + np.repeat(start[codes] - ends + n, n)
+        parts = np.concatenate(([0], np.cumsum(pc.fill_null(pc.list_value_length(split), 0).to_numpy())))
+        return ids[spread], np.concatenate(([0], ends))[parts]
 
 
 @lru_cache(maxsize=1)
@@ -91,12 +129,14 @@ def pieces(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
     out = pa.schema([(c.split()[0], pa.int64()) for c in PIECES.split(", ")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        t = tokens(path)
-        for b in slices(batches, 1 << 20):
+        t, end = tokens(path), END_ID.to_bytes(4, "little")
+        for b in slices(batches, 8 << 20):
+            ids, offsets = t.packed(b.column(1))
             rows = []
-            for key, ids in zip(b.column(0).to_pylist(), t.packed(b.column(1).to_pylist())):
-                n = len(ids) // 4
-                rows += [(key, s, min(window, n - s), zlib.crc32(ids[4 * s : 4 * (s + window)]), n) for s in range(0, n, window)]
+            for key, lo, hi in zip(b.column(0).to_pylist(), offsets.tolist(), offsets[1:].tolist()):
+                raw = ids[lo:hi].tobytes() + end
+                n = hi - lo + 1
+                rows += [(key, s, min(window, n - s), zlib.crc32(raw[4 * s : 4 * (s + window)]), n) for s in range(0, n, window)]
             yield record(out, *zip(*rows))
 
     return doc_text(docs).mapInArrow(run, PIECES)
