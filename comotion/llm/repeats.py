@@ -312,9 +312,13 @@ def _with_spans(docs: DataFrame, keep: list[str]) -> DataFrame:
     found = spans(docs)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     right = found.select(F.col("doc_id").alias("_id"), F.col("h").alias("_h"), F.col("spans").alias("_spans"))
-    left = docs.select(*keep, F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))).alias("_key"), F.xxhash64(text).alias("_hash"))
+    row = F.struct(*(F.col(f"`{c}`") for c in keep)).alias("_row")
+    left = docs.select(row, F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))).alias("_key"), F.xxhash64(text).alias("_hash"))
     on = (F.col("_key") == F.col("_id")) & (F.col("_hash") == F.col("_h"))
-    return left.join(right, on, "left").select(*keep, "_spans")
+    own = "_spans"
+    while own in keep:
+        own += "_"
+    return left.join(right, on, "left").select("_row.*", F.col("_spans").alias(own))
 
 
 def strip(docs: DataFrame) -> DataFrame:
@@ -356,7 +360,8 @@ def whole_characters(raw: bytes, gone: list[tuple[int, int]]) -> str:
 
 def rewrite(docs: DataFrame) -> DataFrame:
     """``docs``, all columns, with repeated passages taken out of text (whole characters) and n_chars brought up to date."""
-    at, chars = docs.columns.index("text"), docs.columns.index("n_chars") if "n_chars" in docs.columns else -1
+    names = docs.columns
+    at, chars = names.index("text"), names.index("n_chars") if "n_chars" in names else -1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
@@ -369,6 +374,6 @@ def rewrite(docs: DataFrame) -> DataFrame:
             columns[at] = pa.array(texts, columns[at].type)
             if chars >= 0:
                 columns[chars] = pa.array([len(t) if t is not None else n for t, n in zip(texts, columns[chars].to_pylist())], columns[chars].type)
-            yield pa.RecordBatch.from_arrays(columns, names=docs.columns)
+            yield pa.RecordBatch.from_arrays(columns, names=names)
 
     return _with_spans(docs, docs.columns).mapInArrow(run, docs.schema)
