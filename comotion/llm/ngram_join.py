@@ -39,8 +39,8 @@ SHINGLE = 5
 SAMPLE_DOCS = 5000
 FREQUENT = 6  # documents of the sample
 MAX_FREQUENT = 100_000
-#: Sets of one block: what a task holds of a cell.
-BLOCK = 20_000
+#: Shingles of one block: what a task holds of a cell, about 30 bytes each, twice where two blocks meet.
+BLOCK = 3_000_000
 #: Documents up to which the list of those to read again is broadcast (16 bytes each).
 BROADCAST_ROWS = 1_000_000
 #: Weight of list length when the number of long lists is chosen.
@@ -142,7 +142,7 @@ def emitted(own: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarr
     """The first shingles in the global order, and which of them are frequent."""
     n = len(own)
     take = min(n, spare(n) + evidence(n))
-    late = np.isin(own, frequent) if len(frequent) else np.zeros(n, bool)
+    late = frequent[np.minimum(np.searchsorted(frequent, own), len(frequent) - 1)] == own if len(frequent) else np.zeros(n, bool)
     rare = own[~late]
     head = rare[:take]
     rest = own[late][: take - len(head)]
@@ -166,16 +166,20 @@ class Index:
         self._build(np.arange(len(sets)))
 
     def _build(self, ids: np.ndarray) -> None:
-        owner = np.repeat(ids, self.sizes[ids])
+        owner = np.repeat(ids.astype(np.int32), self.sizes[ids])
         token = np.concatenate([self.sets[i] for i in ids]) if len(ids) else np.zeros(0, np.uint64)
         order = np.argsort(token, kind="stable")
         token, self.owner = token[order], owner[order]
+        del order, owner
         first = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1]))) if len(token) else np.zeros(0, np.int64)
         self.token, self.first = token[first], np.append(first, len(token))
+        self.living = np.diff(self.first)  # live sets in each list
         self.built = len(ids)
 
     def remove(self, ids: np.ndarray) -> None:
         self.alive[ids] = False
+        for i in ids:
+            self.living[np.searchsorted(self.token, self.sets[i])] -= 1
         left = int(self.alive.sum())
         if left < 0.7 * self.built:
             self._build(np.flatnonzero(self.alive))
@@ -186,7 +190,7 @@ class Index:
         if not len(self.token):
             return np.zeros(0, np.int64)
         spot = np.minimum(np.searchsorted(self.token, query), len(self.token) - 1)
-        spot = spot[self.token[spot] == query]
+        spot = spot[(self.token[spot] == query) & (self.living[spot] > 0)]
         length = self.first[spot + 1] - self.first[spot]
         need = n - spare(n)  # a linked set shares that many at least
         if len(spot) < need:
@@ -319,12 +323,12 @@ def link_classes(docs: DataFrame) -> DataFrame:
     cells = connected(edges, "key", "hub").select(F.col("node").alias("hi"), F.col("component").alias("cell"))
     wanted = cut(reps.join(cells, "hi").select("rep", "n", "cell"))
     # blocks: a cell's sets by size; only blocks whose sizes can link meet
-    crowd = wanted.groupBy("cell").agg(F.count("*").alias("_m")).filter("_m > 1")
-    many = crowd.filter(F.col("_m") > BLOCK).select("cell").count()
+    crowd = wanted.groupBy("cell").agg(F.count("*").alias("_m"), F.sum("n").alias("_n")).filter("_m > 1")
+    many = crowd.filter(F.col("_n") > BLOCK).select("cell").count()
     placed = wanted.join(crowd, "cell")
     if many:
-        block = F.floor((F.row_number().over(Window.partitionBy("cell").orderBy("n", "rep")) - 1) / BLOCK)
-        placed = placed.withColumn("block", F.when(F.col("_m") > BLOCK, block).otherwise(F.lit(0)).cast("int"))
+        block = F.floor(F.sum("n").over(Window.partitionBy("cell").orderBy("n", "rep").rowsBetween(Window.unboundedPreceding, 0)) / BLOCK)
+        placed = placed.withColumn("block", F.when(F.col("_n") > BLOCK, block).otherwise(F.lit(0)).cast("int"))
         span = placed.groupBy("cell", "block").agg(F.min("n").alias("lo_n"), F.max("n").alias("hi_n"))
         left, right = span.select("cell", F.col("block").alias("i"), F.col("hi_n").alias("_top")), span.select("cell", F.col("block").alias("j"), F.col("lo_n").alias("_low"))
         meet = left.join(right, "cell").filter((F.col("i") <= F.col("j")) & (F.col("_low") * 4 <= F.col("_top") * 5))
@@ -353,11 +357,9 @@ def link_classes(docs: DataFrame) -> DataFrame:
     members = read.mapInArrow(reread, "doc_id long, tokens binary, cell long, i int, j int")
 
     def solve(group: pa.Table) -> pa.Table:
-        ids = group.column("doc_id").to_numpy()
-        raw = group.column("tokens").to_pylist()
-        order = np.lexsort((ids,))
-        ids, first = np.unique(ids[order], return_index=True)
-        sets = [np.frombuffer(raw[order[k]], np.uint64) for k in first]
+        ids, first = np.unique(group.column("doc_id").to_numpy(), return_index=True)
+        raw = group.column("tokens")
+        sets = [np.frombuffer(raw[k].as_buffer(), np.uint64) for k in first.tolist()]  # views of the group's own memory
         label = classes(sets)
         moved = np.flatnonzero(label != np.arange(len(ids)))
         return pa.table({"a": ids[moved], "b": ids[label[moved]]}, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
