@@ -19,7 +19,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from comotion.llm.common import doc_text, held_out, record, slices
@@ -183,17 +183,14 @@ def rejected(lang_pred: str, ambiguous: bool, bit_errors: int, model: Model | No
 
 
 def keep_identified(docs: DataFrame, model: Model | None) -> DataFrame:
-    """The rows of ``docs``, all columns, whose language is identified; a narrow pass."""
+    """The rows of ``docs``, all columns, whose language is identified; only texts go to Python, and only flags come back."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    at = docs.columns.index("text")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
-            got = classify(b.column(at).to_pylist(), shared.value)
-            yield b.filter(pa.array([not rejected(g[0], g[3], g[4], shared.value) for g in got]))
-
-    return docs.mapInArrow(run, docs.schema)
 
+    def identified(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for column in texts:
+            flags: list[bool] = []
+            for b in slices(iter([pa.RecordBatch.from_arrays([column], names=["text"])]), 1 << 20):
+                flags += [not rejected(g[0], g[3], g[4], shared.value) for g in classify(b.column(0).to_pylist(), shared.value)]
+            yield pa.array(flags, pa.bool_())
 
-def held_out_column() -> Column:
-    return held_out(F.col("doc_id"))
+    return docs.filter(F.arrow_udf(identified, "boolean")(F.col("text").cast("string")))

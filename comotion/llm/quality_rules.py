@@ -135,8 +135,8 @@ def verdict(rules: tuple[Rule, ...] = RULES) -> Column:
 
 def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """doc_id, counts, measures, base_failed and kept for every row of ``docs``."""
-    m = measures(docs)
-    return m.select("*", base_failed().alias("base_failed"), (~base_failed() & verdict(rules)).alias("kept"))
+    m, hold = _measured(doc_text(docs), "doc_id"), F.col("_hold") >= 0
+    return m.select("*", (hold & base_failed()).alias("base_failed"), (hold & ~base_failed() & verdict(rules)).alias("kept")).drop("_hold")
 
 
 def keep(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
