@@ -45,6 +45,7 @@ def slices(batches: Iterator[pa.RecordBatch], limit: int = SLICE_BYTES) -> Itera
             hi = max(lo + 1, int(np.searchsorted(ends, base + limit, side="right")))
             yield batch.slice(lo, hi - lo)
             lo = hi
+    pa.default_memory_pool().release_unused()  # workers outlive their tasks
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:

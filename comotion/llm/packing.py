@@ -33,7 +33,7 @@ from comotion.llm.common import cut, doc_text, record, slices, text_bytes
 WINDOW = 4096
 GRID = 32
 END_ID = 2
-MEMO = 900_000
+MEMO = 450_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -130,7 +130,7 @@ def pieces(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t, end = tokens(path), END_ID.to_bytes(4, "little")
-        for b in slices(batches, 8 << 20):
+        for b in slices(batches, 4 << 20):
             ids, offsets = t.packed(b.column(1))
             rows = []
             for key, lo, hi in zip(b.column(0).to_pylist(), offsets.tolist(), offsets[1:].tolist()):
@@ -218,6 +218,8 @@ def plan(histogram: dict[int, int], total: int) -> list[tuple[dict[int, int], in
     x = nnls(fitted, np.append(counts / np.sqrt(np.maximum(counts, 1)), 0.0))
     out = []
     for j in np.argsort(-x):
+        if waste[j] > 0.03:  # greedy packing may find company for these
+            continue
         own = {cells[i]: int(columns[i, j]) for i in np.flatnonzero(columns[:, j])}
         n = min([int(x[j] + 1e-6), *(left[c] // k for c, k in own.items())])
         if n <= 0:
@@ -225,7 +227,15 @@ def plan(histogram: dict[int, int], total: int) -> list[tuple[dict[int, int], in
         out.append((own, n))
         for c, k in own.items():
             left[c] -= n * k
-    while any(left.values()):  # greedily: the largest cell first, then whatever fits best, as often as the counts allow
+    out += _greedy(left, total)
+    # for a handful of pieces, rounding costs more than the fit gains
+    return min(out, _greedy(dict(histogram), total), key=lambda p: sum(n for _, n in p))
+
+
+def _greedy(left: dict[int, int], total: int) -> list[tuple[dict[int, int], int]]:
+    """The largest cell first, then whatever fits best, as often as the counts allow."""
+    out = []
+    while any(left.values()):
         own, room = {}, total
         for c in sorted(left, reverse=True):
             k = min(left[c], room // c)
