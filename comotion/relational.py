@@ -24,12 +24,17 @@ def view(name: str, v: str, f, sql: str) -> None:
 
 sec = T._seconds
 EV = "events"
-tick = (F.floor(sec(F.col("ts")) / 21600).cast("long") - 78892).alias("t")
+
+
+def tick():
+    return (F.floor(sec(F.col("ts")) / 21600).cast("long") - 78892).alias("t")
+
+
 TICK = "cast(epoch_us(ts) // 21600000000 as bigint) - 78892"
 
 # Scan, project, filter
 plain("scan_parquet_pruned", "lineitem", lambda d: d.filter("l_quantity >= 45 and l_suppkey < 50").groupBy("l_suppkey").agg(F.count("*").alias("n")), "select l_suppkey, count(*) as n from lineitem where l_quantity >= 45 and l_suppkey < 50 group by 1")
-plain("project_filter_window", EV, lambda d: d.filter("event_type in ('click','view') and value between 10 and 50").select("event_id", "user_id", tick), f"select event_id, user_id, {TICK} as t from events where event_type in ('click','view') and value between 10 and 50")
+plain("project_filter_window", EV, lambda d: d.filter("event_type in ('click','view') and value between 10 and 50").select("event_id", "user_id", tick()), f"select event_id, user_id, {TICK} as t from events where event_type in ('click','view') and value between 10 and 50")
 view("filter_bbox", "planted", lambda s: s.filter("x between 10000 and 30000 and y between 20 and 120").select("oid", "t"), "select oid, t from s where x between 10000 and 30000 and y between 20 and 120")
 view("filter_time_slice", "planted", lambda s: s.filter("t between 20 and 40 and x < 20000").groupBy("oid").agg(F.count("*").alias("n"), F.min("t").alias("first")), "select oid, count(*) as n, min(t) as first from s where t between 20 and 40 and x < 20000 group by 1")
 
@@ -109,14 +114,19 @@ plain("agg_pivot_event_type", EV, lambda d: d.groupBy("user_id").pivot("event_ty
 view("agg_having_active", "events", lambda s: s.groupBy("oid").agg(F.count("*").alias("n")).filter("n > 50"), "select oid, count(*) as n from s group by 1 having count(*) > 50")
 
 # Windows
-_w = Window.partitionBy("oid").orderBy("t")
-view("win_speed", "planted", lambda s: s.select("oid", "t", F.round((F.col("x") - F.lag("x").over(_w)) / (F.col("t") - F.lag("t").over(_w)), 4).alias("vx")), "select oid, t, round((x - lag(x) over w) / (t - lag(t) over w), 4) as vx from s window w as (partition by oid order by t)")
-view("win_gap", "events", lambda s: s.select("oid", "t", (F.lead("t").over(_w) - F.col("t")).alias("gap")), "select oid, t, lead(t) over (partition by oid order by t) - t as gap from s")
+
+
+def _w():
+    return Window.partitionBy("oid").orderBy("t")
+
+
+view("win_speed", "planted", lambda s: s.select("oid", "t", F.round((F.col("x") - F.lag("x").over(_w())) / (F.col("t") - F.lag("t").over(_w())), 4).alias("vx")), "select oid, t, round((x - lag(x) over w) / (t - lag(t) over w), 4) as vx from s window w as (partition by oid order by t)")
+view("win_gap", "events", lambda s: s.select("oid", "t", (F.lead("t").over(_w()) - F.col("t")).alias("gap")), "select oid, t, lead(t) over (partition by oid order by t) - t as gap from s")
 view("win_rank_longest", "events", lambda s: s.groupBy("oid").agg(F.count("*").alias("n"), (F.col("oid") % 3).alias("g")).select("oid", "n", *[f.over(Window.partitionBy("g").orderBy(F.desc("n"))).cast("long").alias(a) for f, a in ((F.rank(), "rk"), (F.dense_rank(), "dr"))], F.row_number().over(Window.partitionBy("g").orderBy(F.desc("n"), "oid")).cast("long").alias("rn"), F.ntile(4).over(Window.partitionBy("g").orderBy(F.desc("n"), "oid")).cast("long").alias("q")), ", g as (select oid, count(*) as n, oid % 3 as g from s group by oid) select oid, n, rank() over (partition by g order by n desc) as rk, dense_rank() over (partition by g order by n desc) as dr, row_number() over (partition by g order by n desc, oid) as rn, ntile(4) over (partition by g order by n desc, oid) as q from g")
-view("win_running_mean", "planted", lambda s: s.select("oid", "t", F.round(F.avg("x").over(_w.rowsBetween(Window.unboundedPreceding, 0)), 4).alias("mx")), "select oid, t, round(avg(x) over (partition by oid order by t rows unbounded preceding), 4) as mx from s")
-view("win_range_moving_avg", "planted", lambda s: s.select("oid", "t", F.round(F.avg("x").over(_w.rangeBetween(-4, 0)), 4).alias("mx"), F.count("*").over(_w.rangeBetween(-4, 0)).alias("n")), "select oid, t, round(avg(x) over w, 4) as mx, count(*) over w as n from s window w as (partition by oid order by t range between 4 preceding and current row)")
-view("win_first_last", "planted", lambda s: s.select("oid", "t", *[f.over(_w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias(a) for f, a in ((F.first("t"), "f"), (F.last("t"), "l"), (F.nth_value("t", 2), "second"))]), "select oid, t, first_value(t) over w as f, last_value(t) over w as l, nth_value(t, 2) over w as second from s window w as (partition by oid order by t rows between unbounded preceding and unbounded following)")
-view("win_islands", "events", lambda s: s.withColumn("g", F.col("t") - F.row_number().over(_w)).groupBy("oid", "g").agg(F.min("t").alias("t_start"), F.max("t").alias("t_end")).drop("g"), ", i as (select oid, t, t - row_number() over (partition by oid order by t) as g from s) select oid, min(t) as t_start, max(t) as t_end from i group by oid, g")
+view("win_running_mean", "planted", lambda s: s.select("oid", "t", F.round(F.avg("x").over(_w().rowsBetween(Window.unboundedPreceding, 0)), 4).alias("mx")), "select oid, t, round(avg(x) over (partition by oid order by t rows unbounded preceding), 4) as mx from s")
+view("win_range_moving_avg", "planted", lambda s: s.select("oid", "t", F.round(F.avg("x").over(_w().rangeBetween(-4, 0)), 4).alias("mx"), F.count("*").over(_w().rangeBetween(-4, 0)).alias("n")), "select oid, t, round(avg(x) over w, 4) as mx, count(*) over w as n from s window w as (partition by oid order by t range between 4 preceding and current row)")
+view("win_first_last", "planted", lambda s: s.select("oid", "t", *[f.over(_w().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias(a) for f, a in ((F.first("t"), "f"), (F.last("t"), "l"), (F.nth_value("t", 2), "second"))]), "select oid, t, first_value(t) over w as f, last_value(t) over w as l, nth_value(t, 2) over w as second from s window w as (partition by oid order by t rows between unbounded preceding and unbounded following)")
+view("win_islands", "events", lambda s: s.withColumn("g", F.col("t") - F.row_number().over(_w())).groupBy("oid", "g").agg(F.min("t").alias("t_start"), F.max("t").alias("t_end")).drop("g"), ", i as (select oid, t, t - row_number() over (partition by oid order by t) as g from s) select oid, min(t) as t_start, max(t) as t_end from i group by oid, g")
 
 
 # Sort, limit, top-k
@@ -169,7 +179,7 @@ sql_query("cte_recursive_chain", ["region"], "with recursive r(n, f) as (select
 
 # Functions
 plain("fn_string_ids", "supplier", lambda d: d.select("s_suppkey", F.concat_ws("-", F.upper(F.trim("s_name")), F.regexp_extract("s_name", r"([0-9]+)", 1)).alias("a"), F.element_at(F.split("s_name", "#"), 1).alias("b"), F.substring("s_name", 1, 4).alias("c")), "select s_suppkey, concat_ws('-', upper(trim(s_name)), regexp_extract(s_name, '([0-9]+)', 1)) as a, split_part(s_name, '#', 1) as b, substring(s_name, 1, 4) as c from supplier")
-plain("fn_time_ticks", EV, lambda d: d.select("event_id", tick, F.date_format(F.date_trunc("day", "ts"), "yyyy-MM-dd").alias("day"), F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")).cast("long").alias("n")), f"select event_id, {TICK} as t, strftime(date_trunc('day', ts), '%Y-%m-%d') as day, cast(date_diff('day', date '2024-01-01', cast(ts as date)) as bigint) as n from events")
+plain("fn_time_ticks", EV, lambda d: d.select("event_id", tick(), F.date_format(F.date_trunc("day", "ts"), "yyyy-MM-dd").alias("day"), F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")).cast("long").alias("n")), f"select event_id, {TICK} as t, strftime(date_trunc('day', ts), '%Y-%m-%d') as day, cast(date_diff('day', date '2024-01-01', cast(ts as date)) as bigint) as n from events")
 view("fn_math_motion", "planted", lambda s: s.select("oid", "t", F.round(F.hypot("x", "y"), 4).alias("h"), F.round(F.degrees(F.atan2("y", "x")), 4).alias("a"), F.pmod(F.col("t"), F.lit(7)).alias("m"), F.floor(F.col("x") / 100).cast("long").alias("c")), "select oid, t, round(sqrt(x*x+y*y), 4) as h, round(degrees(atan2(y, x)), 4) as a, t % 7 as m, cast(floor(x/100) as bigint) as c from s")
 view("fn_array_sets", "events", lambda s: s.groupBy("oid").agg(F.sort_array(F.collect_list("t")).alias("a")).select("oid", F.size(F.array_intersect("a", F.sequence(F.lit(0), F.lit(40)).cast("array<bigint>"))).cast("long").alias("i"), F.size(F.array_except("a", F.sequence(F.lit(0), F.lit(40)).cast("array<bigint>"))).cast("long").alias("e"), F.element_at("a", 1).alias("first"), F.array_contains("a", 5).cast("int").alias("has5")), "select oid, count(*) filter (where t between 0 and 40) as i, count(*) filter (where not t between 0 and 40) as e, min(t) as first, cast(max(cast(t = 5 as int)) as int) as has5 from s group by oid")
 view("fn_array_polyline", "planted", lambda s: s.groupBy("oid").agg(F.sort_array(F.collect_list(F.struct("t", "x", "y"))).alias("a")).select("oid", F.aggregate(F.zip_with(F.slice("a", 1, 1000), F.slice("a", 2, 1000), lambda p, q: F.coalesce(F.abs(q["x"] - p["x"]), F.lit(0.0))), F.lit(0.0), lambda z, v: z + v).cast("long").alias("path")), ", g as (select oid, abs(lead(x) over (partition by oid order by t) - x) as d from s) select oid, cast(coalesce(sum(d), 0) as bigint) as path from g group by oid")
