@@ -53,7 +53,7 @@ def test_streamed_convoys_equal_batch(spark, small):
     path = scratch(spark)
     rows = samples.withColumn("ts", F.timestamp_seconds(F.col("t") * 3600))
     rows.repartition(1).write.parquet(path)
-    late = rows.limit(1).select(F.lit(-1).cast("long").alias("oid"), F.lit(10_000_000).cast("long").alias("t"), F.lit(0.0).alias("x"), F.lit(0.0).alias("y"), F.timestamp_seconds(F.lit(10_000_000 * 3600)).alias("ts"))
+    late = rows.limit(1).select(F.lit(-1).cast("long").alias("oid"), F.lit(200_000).cast("long").alias("t"), F.lit(0.0).alias("x"), F.lit(0.0).alias("y"), F.timestamp_seconds(F.lit(200_000 * 3600)).alias("ts"))
     late.coalesce(1).write.mode("append").parquet(path)  # a last sample moves the watermark past all others
     source = lambda s, d: s.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
     got = stream.convoys(source, p, lambda: F.when(F.col("oid") < 0, 1).otherwise(0))(spark, small)
