@@ -239,7 +239,7 @@ def test_join_against_brute_force(spark, docs, monkeypatch, block):
     monkeypatch.setattr(ngram_join, "BLOCK", block)
     df = spark.createDataFrame(near_copies(2), "doc_id long, text string")
     if block > 150:
-        df = df.unionByName(docs.select(F.col("doc_id") + 1000, "text"))
+        df = df.unionByName(docs.select((F.col("doc_id") + 1000).alias("doc_id"), "text"))
     assert sorted(map(tuple, ngram_join.link_classes(df).collect()), key=repr) == brute_classes(texts(df))
 
 
