@@ -127,7 +127,7 @@ for _v in simplify.VARIANTS:
     register(f"simplify_{_v}", on("events_drift", lambda s, v=_v: _shown(simplify.simplify(s, DELTA, v))), f"{_q} select oid, cast(seg_no as bigint) as seg_no, t0, t1, round(tol, 5) as tol from seg")
     register(f"vertex_reduction_{_v}", on("events_drift", lambda s, v=_v: measures.reduction(s, simplify.simplify(s, DELTA, v))), f"{_q}, a as (select count(*) as n from s), b as (select count(distinct (oid, i)) as k from pts) select n as n_samples, k as n_kept, cast(floor(1000.0*(n-k)/n) as bigint) as reduction_permille from a, b")
     register(f"tolerance_stats_{_v}", on("events_drift", lambda s, v=_v: measures.tolerance_stats(simplify.simplify(s, DELTA, v))), f"{_q} select count(*) as n_segments, round(avg(tol), 6) as mean_tol, round(max(tol), 6) as max_tol from seg")
-register("simplify_by_levels", on("planted", lambda s: _shown(simplify.by_levels(s.filter("oid < 10"), 20.0))))
+register("simplify_by_levels", on("planted", lambda s: _shown(simplify.by_levels(s, 20.0))))
 register("simplify_chunked", on("events_drift", lambda s: _shown(simplify.simplify(s, DELTA, "classic", chunk_ticks=40))))
 register("actual_tolerance", on("events_drift", lambda s: simplify.simplify(s, DELTA).groupBy("oid").agg(F.round(F.max("tol"), 5).alias("tol"))), f"with recursive {O.simplify('events_drift', DELTA, 'classic')} select oid, round(max(tol), 5) as tol from seg group by oid")
 register("division_trace", on("events_drift", lambda s: simplify.division_trace(s).groupBy("oid").agg(F.count("*").alias("n"), F.round(F.max("tol"), 5).alias("max_tol"))))
@@ -170,8 +170,8 @@ register("components", lambda spark, d: connected(T.table(spark, d, "lineitem").
 _ED = PARAMS["events_drift"]
 
 
-def _parts(s: DataFrame, variant: str = "classic", lam: int = LAM, objects: int = 40) -> DataFrame:
-    return timeline.assign(simplify.simplify(s.filter(F.col("oid") < objects), DELTA, variant), lam)
+def _parts(s: DataFrame, variant: str = "classic", lam: int = LAM) -> DataFrame:
+    return timeline.assign(simplify.simplify(s, DELTA, variant), lam)
 
 
 _part_sql = lambda variant: f"with recursive {O.simplify('events_drift', DELTA, variant).replace('from (select oid, t, avg(x)', 'from (select oid, t, avg(x)')}, g as materialized (select u.p as part, seg.* from seg, unnest(range(t0//{LAM}, t1//{LAM}+1)) as u(p) where oid < 40), z as materialized (select a.part, a.oid as oa, b.oid as ob, a.t0 <= b.t1 and b.t0 <= a.t1 as k1, {O.bb()} <= {_ED.e} + a.tol + b.tol as k2, {O.ss()} <= {_ED.e} + a.tol + b.tol as k3 from g a join g b on a.part = b.part and a.oid < b.oid)"
