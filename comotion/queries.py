@@ -162,7 +162,7 @@ for _view in ("planted", "events_drift", "supplier"):
     register(f"snapshot_clusters_{_view}", on(_view, lambda s, p=_p: _joined(snapshot_miner.clusters(s, p))), f"with recursive {O.clusters(_view, _p.m, _p.e)} {_cluster_out}")
 register("snapshot_clusters_graph", on("planted", lambda s: _joined(snapshot_miner.clusters(s, _P, engine="graph"))), f"{_near} {_cluster_out}")
 register("snapshot_clusters_first_border", on("events_drift", lambda s: _joined(snapshot_miner.clusters(s, PARAMS["events_drift"], border="first"))))
-register("components", lambda spark, d: connected(T.table(spark, d, "lineitem").filter("l_quantity >= 49").select("l_suppkey", (F.col("l_partkey") + 1_000_000).alias("p")), "l_suppkey", "p"),
+register("components", lambda spark, d: connected(T.table(spark, d, "lineitem").select("l_suppkey", (F.col("l_partkey") + 1_000_000).alias("p")), "l_suppkey", "p"),
     "with recursive e as (select distinct l_suppkey as a, l_partkey + 1000000 as b from lineitem where l_quantity >= 49), f as (select a, b from e union all select b, a from e), r(n, c) as (select a, a from f union select f.b, r.c from r join f on f.a = r.n) select n as node, min(c) as component from r group by n")
 
 # Bounds ----------------------------------------------------------------------------------------------------------------

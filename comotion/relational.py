@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -51,7 +53,7 @@ _two("customer", "nation", lambda c, n: c.join(F.broadcast(n), c.c_nationkey ==
 
 def _intervals(s: DataFrame) -> DataFrame:
     """Range join by shared buckets of 8 ticks; the bucket of the later start keeps each pair once."""
-    g = s.withColumn("_n", F.lead("t").over(Window.partitionBy("oid").orderBy("t"))).filter("_n is not null and oid < 20").select("oid", F.col("t").alias("t0"), F.col("_n").alias("t1"))
+    g = s.withColumn("_n", F.lead("t").over(Window.partitionBy("oid").orderBy("t"))).filter("_n is not null").select("oid", F.col("t").alias("t0"), F.col("_n").alias("t1"))
     b = g.withColumn("p", F.explode(F.sequence(F.floor(F.col("t0") / 8), F.floor(F.col("t1") / 8))))
     q = b.select("p", F.col("oid").alias("o2"), F.col("t0").alias("u0"), F.col("t1").alias("u1"))
     return b.join(q, "p").filter("oid < o2 and t0 <= u1 and u0 <= t1").filter(F.col("p") == F.floor(F.greatest("t0", "u0") / 8)).groupBy("oid", "o2").agg(F.count("*").alias("n"))
@@ -97,7 +99,7 @@ for _name, _how, _in in (("join_semi_convoy_members", "left_semi", "in"), ("join
 view("agg_samples_per_object", "events", lambda s: s.groupBy("oid").agg(F.count("*").alias("n"), F.min("t").alias("lo"), F.max("t").alias("hi")), "select oid, count(*) as n, min(t) as lo, max(t) as hi from s group by 1")
 plain("agg_distinct_objects", EV, lambda d: d.groupBy("event_type").agg(F.count_distinct("user_id").alias("n")), "select event_type, count(distinct user_id) as n from events group by 1")
 register("agg_approx_distinct", lambda spark, d: T.table(spark, d, EV).groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("n")))
-view("agg_members_array", "events", lambda s: s.filter("t < 10").groupBy("t").agg(F.array_join(F.sort_array(F.collect_set(F.col("oid").cast("int"))), ",").alias("members")), "select t, string_agg(oid, ',' order by oid) as members from s where t < 10 group by t")
+view("agg_members_array", "events", lambda s: s.groupBy("t").agg(F.array_join(F.sort_array(F.collect_set(F.col("oid").cast("int"))), ",").alias("members")), "select t, string_agg(oid, ',' order by oid) as members from s where t < 10 group by t")
 view("agg_max_by_speed", "planted", lambda s: s.withColumn("d", F.abs(F.col("x") - F.lag("x").over(Window.partitionBy("oid").orderBy("t")))).groupBy("oid").agg(F.max("d").cast("long").alias("top")), ", g as (select oid, abs(x - lag(x) over (partition by oid order by t)) as d from s) select oid, cast(max(d) as bigint) as top from g group by 1")
 plain("agg_percentiles", EV, lambda d: d.groupBy("event_type").agg(F.round(F.percentile("value", 0.5), 4).alias("p50"), F.round(F.stddev("value"), 4).alias("sd"), F.round(F.corr("value", F.col("user_id").cast("double")), 4).alias("r")), "select event_type, round(quantile_cont(value, 0.5), 4) as p50, round(stddev_samp(value), 4) as sd, round(corr(value, user_id), 4) as r from events group by 1")
 
@@ -141,12 +143,45 @@ def _top(spark: SparkSession, d: str) -> DataFrame:
 register("topk_longest_convoys", _top, O.mine("planted", 3, 12, 8.0, O.CONVOY_OUT + " order by lifetime desc, t_start, members limit 10"))
 
 
+def nearest(oid: np.ndarray, x: np.ndarray, y: np.ndarray, k: int = 3) -> list[tuple[int, int, int]]:
+    """(oid, other, rank) of the k nearest others of every point; of equally near ones the least id comes first.
+
+    Points lie in order of x and meet at growing offsets, until the gap in x alone exceeds every k-th distance.
+    """
+    order = np.argsort(x, kind="stable")
+    oid, x, y = oid[order], x[order], y[order]
+    n = len(oid)
+    dist, other = np.full((n, k), np.inf), np.full((n, k), np.iinfo(np.int64).max)
+    live = [np.arange(n), np.arange(n)]
+    for off in range(1, n):
+        for side, sign in enumerate((1, -1)):
+            i = live[side]
+            i = i[(i + sign * off >= 0) & (i + sign * off < n)]
+            j = i + sign * off
+            dx, dy = x[i] - x[j], y[i] - y[j]
+            open_ = dx * dx <= dist[i, -1]
+            i, j, d2 = i[open_], j[open_], (dx * dx + dy * dy)[open_]
+            live[side] = i
+            closer = (d2 < dist[i, -1]) | ((d2 == dist[i, -1]) & (oid[j] < other[i, -1]))
+            i, j, d2 = i[closer], j[closer], d2[closer]
+            d, o = np.column_stack((dist[i], d2)), np.column_stack((other[i], oid[j]))
+            rank = np.lexsort((o, d), axis=1)[:, :k]
+            dist[i], other[i] = np.take_along_axis(d, rank, 1), np.take_along_axis(o, rank, 1)
+        if not len(live[0]) and not len(live[1]):
+            break
+    return [(int(oid[i]), int(other[i, r]), r + 1) for i in range(n) for r in range(k) if dist[i, r] < np.inf]
+
+
 def _nearest(s: DataFrame) -> DataFrame:
-    a = s.filter("t = 40")
-    b = a.select("t", F.col("oid").alias("other"), F.col("x").alias("bx"), F.col("y").alias("by"))
-    d2 = (F.col("x") - F.col("bx")) * (F.col("x") - F.col("bx")) + (F.col("y") - F.col("by")) * (F.col("y") - F.col("by"))
-    near = a.join(b, "t").filter("oid <> other").withColumn("d2", d2)
-    return near.withColumn("rk", F.row_number().over(Window.partitionBy("oid").orderBy("d2", "other"))).filter("rk <= 3").select("oid", "other", F.col("rk").cast("long").alias("rk"))
+    """The three nearest others of every object at every tick."""
+    out = pa.schema([(c, pa.int64()) for c in ("t", "oid", "other", "rk")])
+
+    def run(group: pa.Table) -> pa.Table:
+        rows = nearest(*(group.column(c).to_numpy() for c in ("oid", "x", "y")))
+        t = group.column("t")[0].as_py()
+        return pa.Table.from_pylist([dict(zip(out.names, (t, *r))) for r in rows], schema=out)
+
+    return s.select("t", "oid", "x", "y").dropna().groupBy("t").applyInArrow(run, "t long, oid long, other long, rk long")
 
 
 view("topk_nearest_objects", "planted", _nearest, ", r as (select a.oid, b.oid as other, row_number() over (partition by a.oid order by (a.x-b.x)*(a.x-b.x)+(a.y-b.y)*(a.y-b.y), b.oid) as rk from s a join s b on a.t = b.t and a.oid <> b.oid where a.t = 40) select * from r where rk <= 3")
@@ -182,6 +217,6 @@ plain("fn_string_ids", "supplier", lambda d: d.select("s_suppkey", F.concat_ws("
 plain("fn_time_ticks", EV, lambda d: d.select("event_id", tick(), F.date_format(F.date_trunc("day", "ts"), "yyyy-MM-dd").alias("day"), F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")).cast("long").alias("n")), f"select event_id, {TICK} as t, strftime(date_trunc('day', ts), '%Y-%m-%d') as day, cast(date_diff('day', date '2024-01-01', cast(ts as date)) as bigint) as n from events")
 view("fn_math_motion", "planted", lambda s: s.select("oid", "t", F.round(F.hypot("x", "y"), 4).alias("h"), F.round(F.degrees(F.atan2("y", "x")), 4).alias("a"), F.pmod(F.col("t"), F.lit(7)).alias("m"), F.floor(F.col("x") / 100).cast("long").alias("c")), "select oid, t, round(sqrt(x*x+y*y), 4) as h, round(degrees(atan2(y, x)), 4) as a, t % 7 as m, cast(floor(x/100) as bigint) as c from s")
 view("fn_array_sets", "events", lambda s: s.groupBy("oid").agg(F.sort_array(F.collect_list("t")).alias("a")).select("oid", F.size(F.array_intersect("a", F.sequence(F.lit(0), F.lit(40)).cast("array<bigint>"))).cast("long").alias("i"), F.size(F.array_except("a", F.sequence(F.lit(0), F.lit(40)).cast("array<bigint>"))).cast("long").alias("e"), F.element_at("a", 1).alias("first"), F.array_contains("a", 5).cast("int").alias("has5")), "select oid, count(*) filter (where t between 0 and 40) as i, count(*) filter (where not t between 0 and 40) as e, min(t) as first, cast(max(cast(t = 5 as int)) as int) as has5 from s group by oid")
-view("fn_array_polyline", "planted", lambda s: s.groupBy("oid").agg(F.sort_array(F.collect_list(F.struct("t", "x", "y"))).alias("a")).select("oid", F.aggregate(F.zip_with(F.slice("a", 1, 1000), F.slice("a", 2, 1000), lambda p, q: F.coalesce(F.abs(q["x"] - p["x"]), F.lit(0.0))), F.lit(0.0), lambda z, v: z + v).cast("long").alias("path")), ", g as (select oid, abs(lead(x) over (partition by oid order by t) - x) as d from s) select oid, cast(coalesce(sum(d), 0) as bigint) as path from g group by oid")
-view("fn_map_companions", "events", lambda s: s.filter("oid < 30").groupBy("oid").agg(F.map_from_entries(F.collect_list(F.struct("t", F.lit(1).alias("v")))).alias("m")).select("oid", F.size(F.map_keys(F.map_filter("m", lambda k, v: k > 60))).cast("long").alias("late")), "select oid, count(*) filter (where t > 60) as late from s where oid < 30 group by oid")
+view("fn_array_polyline", "planted", lambda s: s.groupBy("oid").agg(F.sort_array(F.collect_list(F.struct("t", "x", "y"))).alias("a")).select("oid", F.aggregate(F.zip_with("a", F.slice("a", F.lit(2), F.size("a")), lambda p, q: F.coalesce(F.abs(q["x"] - p["x"]), F.lit(0.0))), F.lit(0.0), lambda z, v: z + v).cast("long").alias("path")), ", g as (select oid, abs(lead(x) over (partition by oid order by t) - x) as d from s) select oid, cast(coalesce(sum(d), 0) as bigint) as path from g group by oid")
+view("fn_map_companions", "events", lambda s: s.groupBy("oid").agg(F.map_from_entries(F.collect_list(F.struct("t", F.lit(1).alias("v")))).alias("m")).select("oid", F.size(F.map_keys(F.map_filter("m", lambda k, v: k > 60))).cast("long").alias("late")), "select oid, count(*) filter (where t > 60) as late from s where oid < 30 group by oid")
 plain("fn_json_props", EV, lambda d: d.select("event_id", F.from_json("props", "k int")["k"].cast("long").alias("k"), F.get_json_object(F.to_json(F.struct(F.col("user_id").alias("u"))), "$.u").cast("long").alias("u")), "select event_id, cast(props->>'$.k' as bigint) as k, user_id as u from events")

@@ -1,12 +1,15 @@
 """Queries see every object: brute force on tables with more objects than any subset that was once kept."""
 
 import math
+import random
 from itertools import combinations
 
+import numpy as np
 import pytest
 
 import reference
 from comotion import queries as movement
+from comotion import relational
 from comotion.model import SAMPLES
 from comotion.operators import simplify
 from comotion.sources import trajectories as T
@@ -119,3 +122,52 @@ def test_levels_of_all_objects(spark, drift):
     rows = lambda df: {(r.oid, r.t0, r.t1) for r in df.collect()}
     got = rows(movement.QUERIES["simplify_by_levels"](spark, ""))
     assert got == rows(simplify.simplify(drift, 20.0)) and {o for o, *_ in got} == {0, 1, *FAR}
+
+
+def test_overlaps_of_all_objects(spark, lanes, monkeypatch):
+    monkeypatch.setitem(T.VIEWS, "events", lambda spark, d: lanes)
+    tracks, want = {}, {}
+    for r in lanes.orderBy("oid", "t").collect():
+        tracks.setdefault(r.oid, []).append(r.t)
+    for a, b in combinations(sorted(tracks), 2):
+        n = sum(p <= v and u <= q for p, q in zip(tracks[a], tracks[a][1:]) for u, v in zip(tracks[b], tracks[b][1:]))
+        want |= {(a, b): n} if n else {}
+    assert {(r.oid, r.o2): r.n for r in movement.QUERIES["join_interval_overlap"](spark, "").collect()} == want
+    late = {r.oid: r.late for r in movement.QUERIES["fn_map_companions"](spark, "").collect()}
+    assert late == {o: sum(t > 60 for t in ts) for o, ts in tracks.items()}
+    members = {r.t: r.members for r in movement.QUERIES["agg_members_array"](spark, "").collect()}
+    assert members == {t: ",".join(str(o) for o in sorted(tracks) if t in tracks[o]) for t in range(12)}
+
+
+def test_nearest_at_every_tick(spark, lanes, monkeypatch):
+    monkeypatch.setitem(T.VIEWS, "planted", lambda spark, d: lanes)
+    want, rows = set(), lanes.collect()
+    for r in rows:
+        d = sorted(((r.x - q.x) * (r.x - q.x) + (r.y - q.y) * (r.y - q.y), q.oid) for q in rows if q.t == r.t and q.oid != r.oid)
+        want |= {(r.t, r.oid, o, k + 1) for k, (_, o) in enumerate(d[:3])}
+    got = {(r.t, r.oid, r.other, r.rk) for r in movement.QUERIES["topk_nearest_objects"](spark, "").collect()}
+    assert got == want and {t for t, *_ in got} == set(range(12))
+
+
+def test_nearest_with_ties():
+    for seed in range(20):
+        rng = random.Random(seed)
+        n = rng.choice((1, 2, 3, 4, 40))
+        oid = np.array(rng.sample(range(1000), n))
+        x, y = (np.array([rng.randint(0, 5) for _ in oid], float) for _ in "xy")
+        want = [(int(oid[i]), o, k + 1) for i in range(n) for k, (_, o) in enumerate(sorted(((x[i] - x[j]) ** 2 + (y[i] - y[j]) ** 2, int(oid[j])) for j in range(n) if j != i)[:3])]
+        assert sorted(relational.nearest(oid, x, y)) == sorted(want)
+
+
+def test_long_path(spark, monkeypatch):
+    s = spark.createDataFrame([(1, t, float(t % 2), 0.0) for t in range(1500)] + [(2, 0, 5.0, 0.0)], SAMPLES)
+    monkeypatch.setitem(T.VIEWS, "planted", lambda spark, d: s)
+    assert {r.oid: r.path for r in movement.QUERIES["fn_array_polyline"](spark, "").collect()} == {1: 1499, 2: 0}
+
+
+def test_components_of_all_lines(spark, tmp_path):
+    lines = [(s, p, float(q)) for s, p, q in ((1, 1, 5), (2, 1, 49), (2, 2, 50), (3, 3, 7), (4, 4, 12), (3, 4, 1))]
+    spark.createDataFrame(lines, "l_suppkey long, l_partkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = {r.node: r.component for r in movement.QUERIES["components"](spark, str(tmp_path)).collect()}
+    far = 1_000_000
+    assert got == {1: 1, 2: 1, far + 1: 1, far + 2: 1, 3: 3, 4: 3, far + 3: 3, far + 4: 3}
