@@ -16,8 +16,9 @@ A document's set is its distinct 5-word shingles (64-bit hashes of the lower-cas
 5. Links become classes.
 
 Defined results: null or empty texts, and texts without words, have no shingles and link with nothing (their class is
-their own doc_id); fewer than five words are one shingle; repeated rows are copies of each other; an empty table gives no
-rows.
+their own doc_id); fewer than five words are one shingle; repeated rows are copies of each other; a set is known by its
+own hash, so that one doc_id may carry several texts, and a null doc_id any; a class of null ids has no component_id; an
+empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from comotion.components import connected, cut
@@ -41,8 +42,10 @@ FREQUENT = 6  # documents of the sample
 MAX_FREQUENT = 100_000
 #: Shingles of one block: what a task holds of a cell, about 30 bytes each, twice where two blocks meet.
 BLOCK = 3_000_000
-#: Documents up to which the list of those to read again is broadcast (16 bytes each).
+#: Documents up to which the list of those to read again is broadcast (32 bytes each).
 BROADCAST_ROWS = 1_000_000
+#: Stands for a null doc_id, after all others.
+NOBODY = (1 << 63) - 1
 #: Weight of list length when the number of long lists is chosen.
 MU = 0.01
 
@@ -245,17 +248,23 @@ def classes(sets: list[np.ndarray]) -> np.ndarray:
 # Distributed stages ----------------------------------------------------------------------------------------------
 
 
+def _row_key() -> tuple[Column, Column]:
+    """(d, h) of a row with columns doc_id and text; rows that share it are copies of each other."""
+    return F.coalesce(F.col("doc_id").cast("long"), F.lit(NOBODY)).alias("d"), F.xxhash64(F.col("text").cast("string")).alias("h")
+
+
 def keys(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles and the 128-bit name of the set of every row."""
-    out = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("hi", pa.int64()), ("lo", pa.int64())])
+    """doc_id, n_shingles, the 128-bit name of the set and the hash of the text of every row."""
+    out = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("hi", pa.int64()), ("lo", pa.int64()), ("h", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
             sets = shingle_sets(b.column(1))
             names = [set_key(s) if len(s) else (0, 0) for s in sets]
-            yield record(out, b.column(0), [len(s) for s in sets], *zip(*names))
+            yield record(out, b.column(0), [len(s) for s in sets], *zip(*names), b.column(2))
 
-    return doc_text(docs).mapInArrow(run, "doc_id long, n_shingles long, hi long, lo long")
+    rows = doc_text(docs)
+    return rows.select("doc_id", "text", _row_key()[1]).mapInArrow(run, "doc_id long, n_shingles long, hi long, lo long, h long")
 
 
 def frequent_shingles(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> np.ndarray:
@@ -276,12 +285,12 @@ def frequent_shingles(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> np.nda
     return np.sort(np.array([r.token for r in often.collect()], np.int64).view(np.uint64))
 
 
-def link_classes(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, component_id for every row of ``docs``."""
+def _classed(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, h, component_id, and the key (best.d, best.h) of the row that stands for the class, for every row of ``docs``."""
     spark = docs.sparkSession
     frequent = frequent_shingles(docs)
     named = cut(keys(docs))
-    reps = named.filter("n_shingles > 0").groupBy("hi", "lo").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"))
+    reps = named.filter("n_shingles > 0").groupBy("hi", "lo").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(NOBODY)).alias("d"), "h")).alias("best"), F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"))
     reps = cut(reps)
     known = spark.sparkContext.broadcast(frequent)
     out = pa.schema([("token", pa.int64()), ("key", pa.int64()), ("frequent", pa.bool_())])
@@ -321,28 +330,28 @@ def link_classes(docs: DataFrame) -> DataFrame:
     strong = again.join(strong, "key").filter(F.col("_c") >= need).select("key")
     edges = rare.union(held.filter("frequent").select("key", F.col("token").alias("hub"))).join(strong, "key")
     cells = connected(edges, "key", "hub").select(F.col("node").alias("hi"), F.col("component").alias("cell"))
-    wanted = cut(reps.join(cells, "hi").select("rep", "n", "cell"))
+    wanted = cut(reps.join(cells, "hi").select("hi", "best", "n", "cell"))
     # blocks: a cell's sets by size; only blocks whose sizes can link meet
     crowd = wanted.groupBy("cell").agg(F.count("*").alias("_m"), F.sum("n").alias("_n")).filter("_m > 1")
     many = crowd.filter(F.col("_n") > BLOCK).select("cell").count()
     placed = wanted.join(crowd, "cell")
     if many:
-        block = F.floor(F.sum("n").over(Window.partitionBy("cell").orderBy("n", "rep").rowsBetween(Window.unboundedPreceding, 0)) / BLOCK)
+        block = F.floor(F.sum("n").over(Window.partitionBy("cell").orderBy("n", "hi").rowsBetween(Window.unboundedPreceding, 0)) / BLOCK)
         placed = placed.withColumn("block", F.when(F.col("_n") > BLOCK, block).otherwise(F.lit(0)).cast("int"))
         span = placed.groupBy("cell", "block").agg(F.min("n").alias("lo_n"), F.max("n").alias("hi_n"))
         left, right = span.select("cell", F.col("block").alias("i"), F.col("hi_n").alias("_top")), span.select("cell", F.col("block").alias("j"), F.col("lo_n").alias("_low"))
         meet = left.join(right, "cell").filter((F.col("i") <= F.col("j")) & (F.col("_low") * 4 <= F.col("_top") * 5))
         side = meet.select("cell", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-        placed = placed.join(side, ["cell", "block"]).select("rep", "cell", "i", "j")
+        placed = placed.join(side, ["cell", "block"]).select("hi", "best", "cell", "i", "j")
     else:
-        placed = placed.select("rep", "cell", F.lit(0).alias("i"), F.lit(0).alias("j"))
+        placed = placed.select("hi", "best", "cell", F.lit(0).alias("i"), F.lit(0).alias("j"))
     placed = cut(placed)
-    texts = doc_text(docs)
-    again_rows = placed.groupBy("rep").agg(F.collect_list(F.struct("cell", "i", "j")).alias("spots"))
+    texts = doc_text(docs).select("text", *_row_key())
+    again_rows = placed.groupBy("hi", "best.d", "best.h").agg(F.collect_list(F.struct("cell", "i", "j")).alias("spots"))
     if placed.count() <= BROADCAST_ROWS:
         again_rows = F.broadcast(again_rows)
-    read = texts.join(again_rows.withColumnRenamed("rep", "doc_id"), "doc_id").select("doc_id", "text", "spots")
-    member = pa.schema([("doc_id", pa.int64()), ("tokens", pa.binary()), ("cell", pa.int64()), ("i", pa.int32()), ("j", pa.int32())])
+    read = texts.join(again_rows, ["d", "h"]).select("hi", "text", "spots")
+    member = pa.schema([("hi", pa.int64()), ("tokens", pa.binary()), ("cell", pa.int64()), ("i", pa.int32()), ("j", pa.int32())])
 
     def reread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
@@ -354,10 +363,10 @@ def link_classes(docs: DataFrame) -> DataFrame:
             yield record(member, *zip(*lines))
 
     # only few sets are in cells: small cells share tasks
-    members = read.mapInArrow(reread, "doc_id long, tokens binary, cell long, i int, j int")
+    members = read.mapInArrow(reread, "hi long, tokens binary, cell long, i int, j int")
 
     def solve(group: pa.Table) -> pa.Table:
-        ids, first = np.unique(group.column("doc_id").to_numpy(), return_index=True)
+        ids, first = np.unique(group.column("hi").to_numpy(), return_index=True)
         raw = group.column("tokens")
         sets = [np.frombuffer(raw[k].as_buffer(), np.uint64) for k in first.tolist()]  # views of the group's own memory
         label = classes(sets)
@@ -366,8 +375,29 @@ def link_classes(docs: DataFrame) -> DataFrame:
 
     links = members.groupBy("cell", "i", "j").applyInArrow(solve, "a long, b long")
     if many:
-        found = connected(links).select(F.col("node").alias("rep"), F.col("component").alias("root"))
+        found = connected(links).select(F.col("node").alias("hi"), F.col("component").alias("root"))
     else:  # every class lies in one block, so its links are a star
-        found = links.select(F.col("a").alias("rep"), F.col("b").alias("root"))
-    roots = reps.join(found, "rep", "left").select("hi", "lo", F.coalesce("root", "rep").alias("component_id"))
-    return named.join(roots, ["hi", "lo"], "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+        found = links.select(F.col("a").alias("hi"), F.col("b").alias("root"))
+    roots = reps.join(found, "hi", "left").select("hi", "lo", "rep", "best", F.coalesce("root", "hi").alias("root"))
+    first = roots.groupBy("root").agg(F.min("rep").alias("component_id"), F.min("best").alias("best"))
+    roots = roots.select("hi", "lo", "root").join(first, "root").drop("root")
+    return named.join(roots, ["hi", "lo"], "left").select("doc_id", "n_shingles", "h", F.coalesce("component_id", F.when(F.col("n_shingles") == 0, F.col("doc_id"))).alias("component_id"), "best")
+
+
+def link_classes(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, component_id for every row of ``docs``."""
+    return _classed(docs).select("doc_id", "n_shingles", "component_id")
+
+
+def keep_one(docs: DataFrame) -> DataFrame:
+    """``docs``, all columns, with one row of each class: of the least doc_id, nulls last. Rows without words link with nothing and stay."""
+    own = cut(_classed(docs).filter("n_shingles > 0").select(F.coalesce("doc_id", F.lit(NOBODY)).alias("d"), "h", "best"))
+    chosen = (F.col("d") == F.col("best.d")) & (F.col("h") == F.col("best.h"))
+    others = own.filter(~chosen).select("d", "h").distinct()
+    repeated = cut(own.filter(chosen).groupBy("d", "h").agg(F.count("*").alias("_c")).filter("_c > 1").select("d", "h"))
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), *_row_key())
+    kept = rows.join(others.union(repeated), ["d", "h"], "left_anti").select("row.*")
+    if repeated.isEmpty():
+        return kept
+    # rows with one key are copies of each other: any of them will do
+    return kept.union(rows.join(repeated, ["d", "h"], "left_semi").dropDuplicates(["d", "h"]).select("row.*"))

@@ -31,3 +31,24 @@ def test_empty(spark, small):
     for _, stage in corpus_pipeline.STAGES:
         docs = cut(stage(spark, docs, small))
         assert docs.count() == 0
+
+
+def _words(k, n=80):
+    return " ".join(f"s{k}w{j}" for j in range(n))
+
+
+def test_one_row_of_each_class(spark):
+    """Repeated and null doc_ids: one row of a class stays, and a doc_id with two texts loses only the copy."""
+    near = _words(3).replace("s3w79", "other")
+    rows = [(1, _words(1)), (1, _words(1)), (1, _words(1)), (None, _words(1)), (5, _words(1))]  # one class, three equal rows
+    rows += [(None, _words(2)), (None, _words(2))]  # a class of null ids only
+    rows += [(7, _words(3)), (None, near), (8, near), (8, _words(4))]  # 8 has a near copy and a text of its own
+    rows += [(9, _words(5)), (9, _words(6)), (None, _words(6).replace("s6w0", "x")), (None, _words(7)), (10, ""), (11, None)]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = corpus_pipeline.near_duplicates(spark, docs, "")
+    assert got.columns == docs.columns
+    want = [(1, _words(1)), (None, _words(2)), (7, _words(3)), (8, _words(4)), (9, _words(5)), (9, _words(6)), (None, _words(7)), (10, ""), (11, None)]
+    assert sorted(((r.doc_id, r.text) for r in got.collect()), key=repr) == sorted(want, key=repr)
+    # the stage after it takes nothing out of the one copy that is left
+    after = corpus_pipeline.repeated_passages(spark, cut(got), "")
+    assert sorted(((r.doc_id, r.text) for r in after.collect()), key=repr) == sorted(want, key=repr)
