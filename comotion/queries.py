@@ -163,7 +163,7 @@ for _view in ("planted", "events_drift", "supplier"):
 register("snapshot_clusters_graph", on("planted", lambda s: _joined(snapshot_miner.clusters(s, _P, engine="graph"))), f"{_near} {_cluster_out}")
 register("snapshot_clusters_first_border", on("events_drift", lambda s: _joined(snapshot_miner.clusters(s, PARAMS["events_drift"], border="first"))))
 register("components", lambda spark, d: connected(T.table(spark, d, "lineitem").select("l_suppkey", (F.col("l_partkey") + 1_000_000).alias("p")), "l_suppkey", "p"),
-    "with recursive e as (select distinct l_suppkey as a, l_partkey + 1000000 as b from lineitem where l_quantity >= 49), f as (select a, b from e union all select b, a from e), r(n, c) as (select a, a from f union select f.b, r.c from r join f on f.a = r.n) select n as node, min(c) as component from r group by n")
+    "with recursive e as (select distinct l_suppkey as a, l_partkey + 1000000 as b from lineitem), f as (select a, b from e union all select b, a from e), r(n, c) as (select a, a from f union select f.b, r.c from r join f on f.a = r.n) select n as node, min(c) as component from r group by n")
 
 # Bounds ----------------------------------------------------------------------------------------------------------------
 
@@ -174,7 +174,7 @@ def _parts(s: DataFrame, variant: str = "classic", lam: int = LAM) -> DataFrame:
     return timeline.assign(simplify.simplify(s, DELTA, variant), lam)
 
 
-_part_sql = lambda variant: f"with recursive {O.simplify('events_drift', DELTA, variant).replace('from (select oid, t, avg(x)', 'from (select oid, t, avg(x)')}, g as materialized (select u.p as part, seg.* from seg, unnest(range(t0//{LAM}, t1//{LAM}+1)) as u(p) where oid < 40), z as materialized (select a.part, a.oid as oa, b.oid as ob, a.t0 <= b.t1 and b.t0 <= a.t1 as k1, {O.bb()} <= {_ED.e} + a.tol + b.tol as k2, {O.ss()} <= {_ED.e} + a.tol + b.tol as k3 from g a join g b on a.part = b.part and a.oid < b.oid)"
+_part_sql = lambda variant: f"with recursive {O.simplify('events_drift', DELTA, variant)}, g as materialized (select u.p as part, seg.* from seg, unnest(range(t0//{LAM}, t1//{LAM}+1)) as u(p)), z as materialized (select a.part, a.oid as oa, b.oid as ob, a.t0 <= b.t1 and b.t0 <= a.t1 as k1, {O.bb()} <= {_ED.e} + a.tol + b.tol as k2, {O.ss()} <= {_ED.e} + a.tol + b.tol as k3 from g a join g b on a.part = b.part and a.oid < b.oid)"
 register("range_search_funnel", on("events_drift", lambda s: neighbors.funnel(_parts(s), _ED.e)), f"{_part_sql('classic')} select count(*) as n_pairs, count(*) filter (where k1) as n_time, count(*) filter (where k1 and k2) as n_box, count(*) filter (where k1 and k2 and k3) as n_segment from z")
 for _name, _steps_, _cond in (("range_search_box_only", ("time", "box"), "k1 and k2"), ("bound_box", ("box",), "k2"), ("bound_segment", ("time", "box", "segment"), "k1 and k3"), ("traj_omega_within", ("time", "segment"), "k1 and k3")):
     register(_name, on("events_drift", lambda s, st=_steps_: neighbors.polyline_pairs(_parts(s), _ED.e, 4.0, st)), f"{_part_sql('classic')} select distinct part, oa as a, ob as b from z where {_cond}")
