@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -59,3 +60,20 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 def record(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(columns, schema)], schema=schema)
+
+
+def squeezed(text: Column) -> Column:
+    """Text as compressed UTF-8 bytes, for shuffles that carry whole texts. Null stays null."""
+
+    def run(columns: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        pack = zstandard.ZstdCompressor(level=1).compress
+        for column in columns:
+            data = column.cast(pa.binary()) if not pa.types.is_binary(column.type) else column
+            yield pa.array((None if not v.is_valid else pack(v.as_buffer()) for v in data), pa.binary())
+        pa.default_memory_pool().release_unused()
+
+    return F.arrow_udf(run, "binary")(text)
+
+
+def unsqueezed(value: pa.Scalar) -> bytes | None:
+    return zstandard.ZstdDecompressor().decompress(value.as_buffer()) if value.is_valid else None

@@ -1,37 +1,38 @@
 """Suffix-array dedup (operator 2): removes every byte that a long repeated string covers.
 
-A string of ``LEAST`` bytes that starts anywhere else too, in the same document or another, is a repeat; all bytes that
+A string of ``least`` bytes that starts anywhere else too, in the same document or another, is a repeat; all bytes that
 repeats cover go, in every copy. Texts are UTF-8 bytes; matches never cross documents.
 
-1. Anchors: in each window of ``LEAST`` bytes the ``GRAM``-byte piece with the least hash is an anchor, so equal windows
-   have an anchor at the same place. Anchors whose piece occurs once in the corpus are dropped.
-2. Anchors with equal bytes all around (``LEAST - GRAM`` before, ``LEAST`` from the anchor on) are one context; a context
-   that occurs twice makes all windows around its anchor repeats.
-3. The other contexts of a piece meet in one group. The group's suffixes (from the anchor on) form an enhanced suffix
-   array; a stack scan of its common-prefix lengths gives the interval tree. In every interval the members are compared on
-   the left side: the interval yields a repeat for those whose left extension, with the interval's common prefix, reaches
-   ``LEAST`` bytes. All members of an interval count, not only neighbours in the array.
+1. Anchors: in each window of ``least`` bytes the piece of ``least // 4`` bytes with the least hash is an anchor, so equal
+   windows have an anchor at the same place. Anchors whose piece occurs once in the corpus are dropped at once.
+2. Anchors with equal bytes all around (from the piece's first place in a window to its last) are one context; a context
+   that occurs twice makes all windows around its anchor repeats. Where a piece has one context only, that settles it.
+3. The different contexts of a piece meet in one group. The group's suffixes (from the anchor on) form an enhanced suffix
+   array; a stack scan of its common-prefix lengths gives the interval tree. Within an interval the same tree over the
+   bytes before the anchor gives the left extensions. Where the bytes beyond differ on both sides, the members are all
+   occurrences of one maximal repeat (``maximal_groups``); those that reach ``least`` bytes name what goes.
 4. Very large groups (more than ``LARGE`` contexts) are not gathered: their windows are hashed one by one and counted.
 
+Texts cross a shuffle compressed. Rows are known by a 64-bit hash of doc_id and text.
+
 Defined results: null and empty texts have no bytes and no spans; repeated rows are copies of each other; texts under
-``LEAST`` bytes keep everything; very long texts are processed in overlapping slices; an empty table gives no rows.
+``least`` bytes keep everything; very long texts are processed in overlapping slices; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from comotion.components import cut
-from comotion.llm.common import record, slices, text_bytes
+from comotion.llm.common import record, slices, squeezed, text_bytes, unsqueezed
 
 LEAST = 400
-GRAM = 100
 LARGE = 50_000
 _SLICE = 1 << 20
 
@@ -79,7 +80,12 @@ def _least_in_windows(key: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(behind[:n], ahead[width - 1 : width - 1 + n])
 
 
-def anchors(data: np.ndarray, least: int = LEAST, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def gram_of(least: int) -> int:
+    """Bytes of an anchor's piece."""
+    return max(1, least // 4)
+
+
+def anchors(data: np.ndarray, least: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Positions of a document's anchors, the hash of each one's piece, and the hash of its context."""
     n = len(data)
     if n < least:
@@ -126,23 +132,32 @@ def prefix_intervals(lcp: list[int], least: int) -> Iterator[tuple[int, int, int
             stack.append((value, start))
 
 
-def group_repeats(left: list[bytes], right: list[bytes], least: int = LEAST, gram: int = GRAM) -> list[list[tuple[int, int]]]:
-    """For each context the ranges of left lengths j for which its window of j bytes before the anchor and ``least - j`` from it on occurs again in the group.
+def maximal_groups(left: list[bytes], right: list[bytes], gram: int, least: int) -> Iterator[tuple[int, int, list[int]]]:
+    """(bytes before the anchor, bytes from it on, members) of every maximal repeat of ``least`` bytes or more in a group.
 
-    ``left`` holds the bytes before the anchor, nearest first.
+    ``left`` holds the bytes before the anchor, nearest first. Intervals of the suffix array give the common bytes on the
+    right, intervals of the left sides within one give the left extensions. Only what is diverse beyond both ends is
+    maximal; anything else lies within another group.
     """
-    found: list[list[tuple[int, int]]] = [[] for _ in left]
     order = sorted(range(len(right)), key=right.__getitem__)
     lcp = [common(right[a], right[b]) for a, b in zip(order, order[1:])]
     rank = {k: r for r, k in enumerate(sorted(range(len(left)), key=left.__getitem__))}
     for length, first, last in prefix_intervals(lcp, gram):
         own = sorted(order[first : last + 1], key=rank.__getitem__)
         shared = [common(left[a], left[b]) for a, b in zip(own, own[1:])]
-        wanted = max(0, least - length)
-        for k, item in enumerate(own):
-            reach = max(shared[k - 1] if k else -1, shared[k] if k < len(shared) else -1)
-            if reach >= wanted:
-                found[item].append((wanted, reach))
+        # the interval of the root has no left extension in common
+        for reach, a, z in prefix_intervals(shared, max(0, least - length)):
+            members = own[a : z + 1]
+            if reach + length >= least and len({right[k][length : length + 1] or k for k in members}) > 1:
+                yield reach, length, members
+
+
+def group_repeats(left: list[bytes], right: list[bytes], least: int, gram: int) -> list[list[tuple[int, int]]]:
+    """For each context the ranges of left lengths j for which its window of j bytes before the anchor and ``least - j`` from it on occurs again in the group."""
+    found: list[list[tuple[int, int]]] = [[] for _ in left]
+    for reach, length, members in maximal_groups(left, right, gram, least):
+        for k in members:
+            found[k].append((max(0, least - length), reach))
     return [merged(x) for x in found]
 
 
@@ -175,41 +190,45 @@ def repeat_groups(texts: list[bytes], least: int) -> list[tuple[int, list[tuple[
 # Distributed stages ----------------------------------------------------------------------------------------------
 
 
-def _named(docs: DataFrame) -> DataFrame:
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))).alias("doc_id"), F.xxhash64(text).alias("h"), text.alias("text"))
+def _text() -> Column:
+    return F.coalesce(F.col("text").cast("string"), F.lit(""))
+
+
+def _key() -> Column:
+    return F.xxhash64(F.col("doc_id").cast("long"), _text())
 
 
-def anchor_rows(named: DataFrame) -> DataFrame:
-    """(fp, ctx, doc_id, h, pos) of every anchor."""
-    out = pa.schema([(c, pa.int64()) for c in ("fp", "ctx", "doc_id", "h", "pos")])
+def anchor_rows(docs: DataFrame, least: int) -> DataFrame:
+    """(fp, ctx, key, pos) of every anchor."""
+    out, gram = pa.schema([("fp", pa.int64()), ("ctx", pa.int64()), ("key", pa.int64()), ("pos", pa.int32())]), gram_of(least)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
-            data, offsets = text_bytes(b.column(2))
-            ids, hashes = b.column(0).to_numpy(), b.column(1).to_numpy()
+            data, offsets = text_bytes(b.column(1))
+            keys = b.column(0).to_numpy()
             parts = []
-            for k in np.flatnonzero(np.diff(offsets) >= LEAST).tolist():
-                at, piece, around = anchors(data[offsets[k] : offsets[k + 1]])
-                parts.append((piece.view(np.int64), around.view(np.int64), np.full(len(at), ids[k]), np.full(len(at), hashes[k]), at))
+            for k in np.flatnonzero(np.diff(offsets) >= least).tolist():
+                at, piece, around = anchors(data[offsets[k] : offsets[k + 1]], least, gram)
+                parts.append((piece.view(np.int64), around.view(np.int64), np.full(len(at), keys[k]), at))
             if parts:
                 yield record(out, *map(np.concatenate, zip(*parts)))
 
-    return named.select("doc_id", "h", "text").mapInArrow(run, "fp long, ctx long, doc_id long, h long, pos long")
+    return docs.select(_key().alias("key"), _text().alias("text")).mapInArrow(run, "fp long, ctx long, key long, pos int")
 
 
-def _contexts(named: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(fp, ctx, before, after) for the (doc_id, h, fp, ctx, pos) of ``wanted``; ``before`` is reversed."""
-    spots = wanted.groupBy("doc_id", "h").agg(F.collect_list(F.struct("fp", "ctx", "pos")).alias("spots"))
-    read = named.join(spots, ["doc_id", "h"]).select("spots", "text")
+def _contexts(docs: DataFrame, wanted: DataFrame, least: int) -> DataFrame:
+    """(fp, ctx, before, after) for the (key, pos, fp, ctx) of ``wanted``; ``before`` is reversed."""
+    gram = gram_of(least)
+    spots = wanted.groupBy("key").agg(F.collect_list(F.struct("fp", "ctx", "pos")).alias("spots"))
+    read = docs.select(_key().alias("key"), squeezed(_text()).alias("text")).join(spots, "key").select("spots", "text")
     out = pa.schema([("fp", pa.int64()), ("ctx", pa.int64()), ("before", pa.binary()), ("after", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, 1 << 20):
+        for b in slices(batches, 1 << 19):
             rows = []
-            for own, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                raw = text.encode()
-                rows += [(s["fp"], s["ctx"], raw[max(0, s["pos"] - LEAST + GRAM) : s["pos"]][::-1], raw[s["pos"] : s["pos"] + LEAST]) for s in own]
+            for own, text in zip(b.column(0).to_pylist(), b.column(1)):
+                raw = unsqueezed(text)
+                rows += [(s["fp"], s["ctx"], raw[max(0, s["pos"] - least + gram) : s["pos"]][::-1], raw[s["pos"] : s["pos"] + least]) for s in own]
             yield record(out, *zip(*rows))
 
     return read.mapInArrow(run, "fp long, ctx long, before binary, after binary")
@@ -241,36 +260,41 @@ _RANGES = "fp long, ctx long, lo int, hi int"
 _RANGE_ARROW = pa.schema([("fp", pa.int64()), ("ctx", pa.int64()), ("lo", pa.int32()), ("hi", pa.int32())])
 
 
-def _solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    rows: list[tuple] = []
-    for fp, ctx, before, after in _grouped(batches):
-        if len(fp) == 2:  # both contexts are the only interval
-            lcp, reach = common(after[0], after[1]), common(before[0], before[1])
-            if lcp >= GRAM and lcp + reach >= LEAST:
-                rows += [(fp[0], c, max(0, LEAST - lcp), reach) for c in ctx]
-        elif len(fp) > 2:
-            for c, own in zip(ctx, group_repeats(before, after)):
-                rows += [(fp[0], c, lo, hi) for lo, hi in own]
-        if len(rows) > 20_000:
+def _solve(least: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    gram = gram_of(least)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows: list[tuple] = []
+        for fp, ctx, before, after in _grouped(batches):
+            if len(fp) == 2:  # both contexts are the only interval
+                lcp, reach = common(after[0], after[1]), common(before[0], before[1])
+                if lcp >= gram and lcp + reach >= least:
+                    rows += [(fp[0], c, max(0, least - lcp), reach) for c in ctx]
+            elif len(fp) > 2:
+                for c, own in zip(ctx, group_repeats(before, after, least, gram)):
+                    rows += [(fp[0], c, lo, hi) for lo, hi in own]
+            if len(rows) > 20_000:
+                yield record(_RANGE_ARROW, *zip(*rows))
+                rows = []
+        if rows:
             yield record(_RANGE_ARROW, *zip(*rows))
-            rows = []
-    if rows:
-        yield record(_RANGE_ARROW, *zip(*rows))
+
+    return run
 
 
-def _by_windows(contexts: DataFrame) -> DataFrame:
+def _by_windows(contexts: DataFrame, least: int) -> DataFrame:
     """The same ranges for very large groups: every window of every context is hashed, and counted with partial sums."""
     out = pa.schema([("w", pa.int64()), ("fp", pa.int64()), ("ctx", pa.int64()), ("lo", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for fp, ctx, before, after in zip(*(c.to_pylist() for c in b.columns)):
-                j = np.arange(max(0, LEAST - len(after)), len(before) + 1)
+                j = np.arange(max(0, least - len(after)), len(before) + 1)
                 if not len(j):
                     continue
                 total, down = _sums(np.frombuffer(before[::-1] + after, np.uint8))
                 start = len(before) - j
-                w = _mix((total[start + LEAST] - total[start]) * down[start] ^ _mix(np.uint64(fp & _MASK) + j.astype(np.uint64)))
+                w = _mix((total[start + least] - total[start]) * down[start] ^ _mix(np.uint64(fp & _MASK) + j.astype(np.uint64)))
                 yield record(out, w.view(np.int64), np.full(len(j), fp), np.full(len(j), ctx), j)
 
     rows = contexts.mapInArrow(run, "w long, fp long, ctx long, lo int")
@@ -278,59 +302,57 @@ def _by_windows(contexts: DataFrame) -> DataFrame:
     return rows.join(twice, "w").select("fp", "ctx", "lo", F.col("lo").alias("hi"))
 
 
-def spans(docs: DataFrame) -> DataFrame:
-    """(doc_id, h, spans) of documents with repeated bytes; spans are unmerged (start, end) pairs that may reach over the text's ends."""
-    named = _named(docs)
-    every = cut(anchor_rows(named))
-    # partial sums shrink copies before any shuffle; what meets by piece afterwards are different contexts
-    contexts = cut(every.groupBy("fp", "ctx").agg(F.count("*").alias("c"), F.min(F.struct("doc_id", "h", "pos")).alias("one")))
-    group = contexts.groupBy("fp").agg(F.min("c").alias("least"), F.count("*").alias("m")).filter("least = 1 and m > 1").select("fp", "m")
-    wanted = cut(contexts.join(group, "fp").select("fp", "ctx", "one.*", "m"))
+def spans(docs: DataFrame, least: int = LEAST) -> DataFrame:
+    """(key, spans) of rows with repeated bytes; spans are unmerged (start, end) pairs that may reach over the text's ends."""
+    whole = least - gram_of(least)
+    every = cut(anchor_rows(docs, least))
+    # partial sums shrink copies before the shuffle; what occurs once goes before anything else is read
+    pieces = every.groupBy("fp").agg(F.count("*").alias("n"), F.min("ctx").alias("least"), F.max("ctx").alias("most")).filter("n > 1")
+    live = cut(every.join(pieces.select("fp", (F.col("least") == F.col("most")).alias("one")), "fp"))
+    mixed = live.filter("not one").drop("one")
+    contexts = cut(mixed.groupBy("fp", "ctx").agg(F.count("*").alias("c"), F.min(F.struct("key", "pos")).alias("at")))
+    group = contexts.groupBy("fp").agg(F.min("c").alias("least"), F.count("*").alias("m")).filter("least = 1").select("fp", "m")
+    wanted = cut(contexts.join(group, "fp").select("fp", "ctx", "at.*", "m"))
     most = wanted.agg(F.coalesce(F.max("m"), F.lit(0))).first()[0]
-    small = wanted.filter(F.col("m") <= LARGE)
-    held = _contexts(named, small)
-    ranges = held.repartition("fp").sortWithinPartitions("fp").mapInArrow(_solve, _RANGES)
+    held = _contexts(docs, wanted.filter(F.col("m") <= LARGE), least)
+    ranges = held.repartition("fp").sortWithinPartitions("fp").mapInArrow(_solve(least), _RANGES)
     if most > LARGE:
-        ranges = ranges.union(_by_windows(_contexts(named, wanted.filter(F.col("m") > LARGE))))
-    full = contexts.filter("c > 1").select("fp", "ctx", F.lit(0).alias("lo"), F.lit(LEAST - GRAM).alias("hi"))
-    ranges = full.union(ranges)
-    found = every.join(ranges, ["fp", "ctx"]).select("doc_id", "h", F.struct((F.col("pos") - F.col("hi")).alias("a"), (F.col("pos") - F.col("lo") + LEAST).alias("z"), F.col("lo").alias("lo"), F.col("hi").alias("hi")).alias("s"))
-    return found.groupBy("doc_id", "h").agg(F.collect_set("s").alias("spans"))
+        ranges = ranges.union(_by_windows(_contexts(docs, wanted.filter(F.col("m") > LARGE), least), least))
+    full = contexts.filter("c > 1").select("fp", "ctx", F.lit(0).alias("lo"), F.lit(whole).alias("hi"))
+    span = lambda lo, hi: F.struct((F.col("pos") - hi).cast("int").alias("a"), (F.col("pos") - lo + least).cast("int").alias("z")).alias("s")
+    settled = live.filter("one").select("key", span(F.lit(0), F.lit(whole)))
+    found = mixed.join(full.union(ranges), ["fp", "ctx"]).select("key", span(F.col("lo"), F.col("hi")))
+    return settled.union(found).groupBy("key").agg(F.collect_set("s").alias("spans"))
 
 
-def removed(n: int, own: list[dict] | None) -> list[tuple[int, int]]:
+def removed(n: int, own: list[dict] | None, least: int) -> list[tuple[int, int]]:
     """Maximal removed runs [a, z) of a text of n bytes: windows that leave the text don't count."""
     ranges = []
     for s in own or ():
-        first, last = max(0, s["a"]), min(n - LEAST, s["z"] - LEAST)
+        first, last = max(0, s["a"]), min(n - least, s["z"] - least)
         if first <= last:
-            ranges.append((first, last + LEAST))
+            ranges.append((first, last + least))
     return merged(ranges, 0)
 
 
-def _with_spans(docs: DataFrame, keep: list[str]) -> DataFrame:
-    found = spans(docs)
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    right = found.select(F.col("doc_id").alias("_id"), F.col("h").alias("_h"), F.col("spans").alias("_spans"))
+def _with_spans(docs: DataFrame, keep: list[str], least: int) -> DataFrame:
+    """_row (the columns ``keep``), the compressed text and the spans of every row of ``docs``."""
+    right = spans(docs, least).select(F.col("key").alias("_id"), F.col("spans").alias("_spans"))
     row = F.struct(*(F.col(f"`{c}`") for c in keep)).alias("_row")
-    left = docs.select(row, F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**62))).alias("_key"), F.xxhash64(text).alias("_hash"))
-    on = (F.col("_key") == F.col("_id")) & (F.col("_hash") == F.col("_h"))
-    own = "_spans"
-    while own in keep:
-        own += "_"
-    return left.join(right, on, "left").select("_row.*", F.col("_spans").alias(own))
+    left = docs.select(row, _key().alias("_key"), squeezed(F.col("text").cast("string")).alias("text"))
+    return left.join(right, F.col("_key") == F.col("_id"), "left").select("_row", "text", "_spans")
 
 
-def strip(docs: DataFrame) -> DataFrame:
+def strip(docs: DataFrame, least: int = LEAST) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed runs of every row of ``docs``."""
     out = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("runs", pa.list_(pa.list_(pa.int64())))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
+        for b in slices(batches, 1 << 20):
             rows = []
-            for text, own in zip(b.column(1).to_pylist(), b.column(2).to_pylist()):
-                raw = (text or "").encode()
-                gone = removed(len(raw), own)
+            for text, own in zip(b.column(1), b.column(2).to_pylist()):
+                raw = unsqueezed(text) or b""
+                gone = removed(len(raw), own, least)
                 sha, at = hashlib.sha256(), 0
                 for a, z in [*gone, (len(raw), len(raw))]:
                     sha.update(raw[at:a])
@@ -338,9 +360,8 @@ def strip(docs: DataFrame) -> DataFrame:
                 rows.append((len(raw), sum(z - a for a, z in gone), len(gone), sha.hexdigest(), [list(x) for x in gone]))
             yield record(out, b.column(0), *zip(*rows))
 
-    return _with_spans(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), ["doc_id", "text"]).mapInArrow(
-        run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, runs array<array<long>>"
-    )
+    rows = _with_spans(docs, ["doc_id"], least).select(F.col("_row.doc_id").cast("long").alias("doc_id"), "text", "_spans")
+    return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, runs array<array<long>>")
 
 
 def whole_characters(raw: bytes, gone: list[tuple[int, int]]) -> str:
@@ -358,22 +379,23 @@ def whole_characters(raw: bytes, gone: list[tuple[int, int]]) -> str:
     return b"".join([*parts, raw[at:]]).decode()
 
 
-def rewrite(docs: DataFrame) -> DataFrame:
+def rewrite(docs: DataFrame, least: int = LEAST) -> DataFrame:
     """``docs``, all columns, with repeated passages taken out of text (whole characters) and n_chars brought up to date."""
-    names = docs.columns
-    at, chars = names.index("text"), names.index("n_chars") if "n_chars" in names else -1
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
-            columns = list(b.columns[:-1])
-            texts = []
-            for text, own in zip(columns[at].to_pylist(), b.column(b.num_columns - 1).to_pylist()):
-                raw = (text or "").encode()
-                gone = removed(len(raw), own)
-                texts.append(whole_characters(raw, gone) if gone else text)
-            columns[at] = pa.array(texts, columns[at].type)
-            if chars >= 0:
-                columns[chars] = pa.array([len(t) if t is not None else n for t, n in zip(texts, columns[chars].to_pylist())], columns[chars].type)
-            yield pa.RecordBatch.from_arrays(columns, names=names)
-
-    return _with_spans(docs, docs.columns).mapInArrow(run, docs.schema)
+    def cleaned(columns: Iterator[tuple[pa.Array, pa.Array]]) -> Iterator[pa.Array]:
+        for text, own in columns:
+            out = []
+            for b in slices(iter([pa.RecordBatch.from_arrays([text, own], names=["text", "own"])]), 1 << 20):
+                for z, s in zip(b.column(0), b.column(1).to_pylist()):
+                    raw = unsqueezed(z)
+                    gone = removed(len(raw), s, least) if raw else []
+                    out.append(None if raw is None else whole_characters(raw, gone) if gone else raw.decode())
+            yield pa.array(out, pa.string())
+
+    rest = [c for c in docs.columns if c != "text"]
+    rows = _with_spans(docs, rest, least).select("_row", F.arrow_udf(cleaned, "string")("text", "_spans").alias("_new"))
+    column = {c: F.col(f"_row.`{c}`") for c in rest}
+    column["text"] = F.col("_new").cast(docs.schema["text"].dataType)
+    if "n_chars" in column:
+        column["n_chars"] = F.coalesce(F.length("_new"), column["n_chars"]).cast(docs.schema["n_chars"].dataType)
+    return rows.select(*(column[c].alias(c) for c in docs.columns))

@@ -106,16 +106,52 @@ def brute_repeats(rows, least=400):
     return sorted(out, key=repr)
 
 
-@pytest.mark.parametrize("large", [50_000, 3])
-def test_repeats_against_brute_force(spark, docs, monkeypatch, large):
+@pytest.mark.parametrize("large,least", [(50_000, 400), (3, 400), (50_000, 250), (50_000, 90)])
+def test_repeats_against_brute_force(spark, docs, monkeypatch, large, least):
     monkeypatch.setattr(repeats, "LARGE", large)
     rng = random.Random(3)
     passage = "".join(rng.choice("abcde ") for _ in range(450))
     rows = [(k, "".join(rng.choice("xyz ") for _ in range(rng.randint(0, 300))) + passage[rng.randint(0, 60) :] + "é" * rng.randint(0, 3)) for k in range(12)]
     rows += [(90, "ab" * 700), (91, "q" * 399), (92, "q" * 400), (93, None), (93, None), (94, "r" * 1000)]
     df = spark.createDataFrame(rows, "doc_id long, text string").unionByName(docs.select("doc_id", "text").limit(60))
-    got = sorted((tuple(r)[:5] for r in repeats.strip(df).collect()), key=repr)
-    assert got == brute_repeats(texts(df))
+    got = sorted((tuple(r)[:5] for r in repeats.strip(df, least).collect()), key=repr)
+    assert got == brute_repeats(texts(df), least)
+
+
+def test_groups_are_all_maximal_repeats_around_an_anchor():
+    rng = random.Random(11)
+    for _ in range(40):
+        left = [bytes(rng.choice(b"ab") for _ in range(rng.randint(0, 6))) for _ in range(6)]
+        right = [b"GG" + bytes(rng.choice(b"ab") for _ in range(rng.randint(0, 6))) for _ in range(6)]
+        want = set()
+        for i in range(6):
+            for j in range(i):
+                a, b = repeats.common(left[i], left[j]), repeats.common(right[i], right[j])
+                if a + b >= 5:
+                    own = [k for k in range(6) if repeats.common(left[k], left[i]) >= a and repeats.common(right[k], right[i]) >= b]
+                    want.add((a, b, tuple(own)))
+        got = [(a, b, tuple(sorted(m))) for a, b, m in repeats.maximal_groups(left, right, 2, 5)]
+        assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_rewrite_takes_passages_out(spark):
+    """Passages of more than fifty words, 271 to 394 bytes, go from every text; the rest stays."""
+    rng = random.Random(9)
+    word = lambda n: "".join(rng.choice("abcdefghijklmnop") for _ in range(n))
+    rows, want = [], {}
+    for k in range(8):
+        passage = " ".join(word(rng.randint(4, 6)) for _ in range(55))
+        passage = passage[: rng.randint(271, 320)] if k % 2 else passage
+        for c in range(2 + k % 3):
+            head, tail = f"{word(300)} é{k}.{c} ", f" {c}.{k}ñ {word(200)}"
+            rows.append((10 * k + c, head + passage + tail, len(head + passage + tail)))
+            want[10 * k + c] = (head, passage, tail)
+    df = spark.createDataFrame([*rows, (900, None, 0), (901, "", 0)], "doc_id long, text string, n_chars long")
+    got = {r.doc_id: r for r in repeats.rewrite(df, 250).collect()}
+    assert got[900].text is None and got[901].text == ""
+    for d, (head, passage, tail) in want.items():
+        assert got[d].text in (head + tail, head.rstrip() + tail, head + tail.lstrip(), head.rstrip() + tail.lstrip()), d
+        assert got[d].n_chars == len(got[d].text)
 
 
 def test_repeats_odd(odd, empty):
