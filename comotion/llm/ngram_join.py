@@ -4,16 +4,19 @@ A document's set is its distinct 5-word shingles (64-bit hashes of the lower-cas
 100 * intersection >= 80 * union; a class is a connected component of links.
 
 1. Equal sets collapse to one representative.
-2. Each set emits its ``floor(0.2 n) + K`` first shingles in a global order (frequent ones last, then by hash), with
-   K about a tenth of n. Linked sets share at least min(K_x, K_y) of them, so a set of which too few are shared with
-   anybody is linked to nobody. Frequent shingles are known from a sample of documents; they only shape the order, never
-   the result.
-3. What remains falls into cells: connected components of "shares an emitted shingle". Links never leave a cell.
-4. Within a cell (cut into blocks of bounded size, and pairs of blocks) inverted lists answer one query for each set:
+2. Each set emits its ``floor(0.2 n) + K`` shingles of least hash, with K about a tenth of n. Linked sets share at least
+   min(K_x, K_y) of them, so a set of which too few are shared with anybody is linked to nobody.
+3. Of the shared shingles that are left, a set with c of them that must share k keeps the c - k + 1 rarest, by the number
+   of sets that hold them: two linked sets have one of these in common. Passages that many unlike documents hold are
+   frequent and drop out here.
+4. What remains falls into cells: connected components of "shares a kept shingle". Links never leave a cell.
+5. Within a cell (cut into blocks of bounded size, and pairs of blocks) inverted lists answer one query for each set:
    short lists are merged in a heap, long ones are probed by bisection for those that the short ones left alive
    (DivideSkip), those that reach the required overlap are verified exactly. Found sets join the query's class and leave
    the index, so that a large group of near copies costs about one query.
-5. Links become classes.
+6. Links become classes.
+
+No step gathers a shingle that many documents hold: each run of texts sends it twice at most to where its holders meet.
 
 Defined results: null or empty texts, and texts without words, have no shingles and link with nothing (their class is
 their own doc_id); fewer than five words are one shingle; repeated rows are copies of each other; a set is known by its
@@ -34,16 +37,15 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from comotion.components import connected, cut
-from comotion.llm.common import doc_text, record, slices, text_bytes
+from comotion.llm.common import doc_text, record, slices, squeezed, text_bytes, unsqueezed
 
 SHINGLE = 5
-SAMPLE_DOCS = 5000
-FREQUENT = 6  # documents of the sample
-MAX_FREQUENT = 100_000
 #: Shingles of one block: what a task holds of a cell, about 30 bytes each, twice where two blocks meet.
-BLOCK = 3_000_000
-#: Documents up to which the list of those to read again is broadcast (32 bytes each).
-BROADCAST_ROWS = 1_000_000
+BLOCK = 1_000_000
+#: Emitted shingles among which a task looks for shared ones before it sends them on.
+_RUN = 1_000_000
+#: Text bytes that are shingled at a time.
+_SLICE = 1 << 20
 #: Stands for a null doc_id, after all others.
 NOBODY = (1 << 63) - 1
 #: Weight of list length when the number of long lists is chosen.
@@ -141,15 +143,25 @@ def evidence(n: int) -> int:
     return max(1, n // 10)
 
 
-def emitted(own: np.ndarray, frequent: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The first shingles in the global order, and which of them are frequent."""
-    n = len(own)
-    take = min(n, spare(n) + evidence(n))
-    late = frequent[np.minimum(np.searchsorted(frequent, own), len(frequent) - 1)] == own if len(frequent) else np.zeros(n, bool)
-    rare = own[~late]
-    head = rare[:take]
-    rest = own[late][: take - len(head)]
-    return np.concatenate((head, rest)), np.repeat([False, True], [len(head), len(rest)])
+def emitted(own: np.ndarray) -> np.ndarray:
+    """The first shingles by hash."""
+    return own[: spare(len(own)) + evidence(len(own))]
+
+
+def dealt(token: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """Where each (shingle, set) of a run of texts goes: 0 to meet the others of its shingle, 1 if it is known to be shared.
+
+    A shingle that several sets of the run hold sends two of them to the meeting, which is enough for any other run to see it.
+    """
+    order = np.lexsort((key, token))
+    same = token[order][1:] == token[order][:-1]
+    place = np.zeros(len(order), np.int64)  # within its shingle
+    if len(order):
+        first = np.concatenate(([0], np.flatnonzero(~same) + 1))
+        place = np.arange(len(order)) - np.repeat(first, np.diff(np.append(first, len(order))))
+    out = np.zeros(len(order), np.int8)
+    out[order] = place > 1
+    return out
 
 
 def _signed(x: np.ndarray) -> np.ndarray:
@@ -258,7 +270,7 @@ def keys(docs: DataFrame) -> DataFrame:
     out = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("hi", pa.int64()), ("lo", pa.int64()), ("h", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
+        for b in slices(batches, _SLICE):
             sets = shingle_sets(b.column(1))
             names = [set_key(s) if len(s) else (0, 0) for s in sets]
             yield record(out, b.column(0), [len(s) for s in sets], *zip(*names), b.column(2))
@@ -267,103 +279,104 @@ def keys(docs: DataFrame) -> DataFrame:
     return rows.select("doc_id", "text", _row_key()[1]).mapInArrow(run, "doc_id long, n_shingles long, hi long, lo long, h long")
 
 
-def frequent_shingles(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> np.ndarray:
-    """Shingles of ``FREQUENT`` or more documents of a hash sample; the most frequent ``MAX_FREQUENT`` at most."""
-    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id")).dropna().orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
-    out = pa.schema([("token", pa.int64())])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
-            yield record(out, _signed(np.concatenate(shingle_sets(b.column(1)))))
-
-    picked = [r.doc_id for r in ids.collect()]
-    if not picked:
-        return np.zeros(0, np.uint64)
-    chosen = docs.sparkSession.createDataFrame([(i,) for i in sorted(set(picked))], "doc_id long")
-    tokens = doc_text(docs).join(F.broadcast(chosen), "doc_id").select("doc_id", "text").mapInArrow(run, "token long")
-    often = tokens.groupBy("token").count().filter(F.col("count") >= FREQUENT).orderBy(F.desc("count"), "token").limit(MAX_FREQUENT)
-    return np.sort(np.array([r.token for r in often.collect()], np.int64).view(np.uint64))
-
-
-def _classed(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, h, component_id, and the key (best.d, best.h) of the row that stands for the class, for every row of ``docs``."""
-    spark = docs.sparkSession
-    frequent = frequent_shingles(docs)
-    named = cut(keys(docs))
-    reps = named.filter("n_shingles > 0").groupBy("hi", "lo").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(NOBODY)).alias("d"), "h")).alias("best"), F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"))
-    reps = cut(reps)
-    known = spark.sparkContext.broadcast(frequent)
-    out = pa.schema([("token", pa.int64()), ("key", pa.int64()), ("frequent", pa.bool_())])
+def shared_shingles(docs: DataFrame) -> DataFrame:
+    """Distinct (token, key) of emitted shingles that different sets hold, together by key."""
+    out = pa.schema([("token", pa.int64()), ("key", pa.int64()), ("known", pa.int8())])
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()  # copies that this task has met already; a repeat costs time only
-        for b in slices(batches):
-            parts = []
-            for own in shingle_sets(b.column(1)):
+        parts: list[tuple[np.ndarray, np.ndarray]] = []
+
+        def flush() -> pa.RecordBatch:
+            token, key = map(np.concatenate, zip(*parts))
+            parts.clear()
+            return record(out, _signed(token), key, dealt(token, key))
+
+        held = 0
+        for b in slices(batches, _SLICE):
+            for own in shingle_sets(b.column(0)):
                 if not len(own) or (key := set_key(own)[0]) in seen:
                     continue
-                if len(seen) > 500_000:
-                    seen.clear()
                 seen.add(key)
-                head, late = emitted(own, known.value)
-                parts.append((head, np.full(len(head), key), late))
-            if parts:
-                token, key, late = map(np.concatenate, zip(*parts))
-                yield record(out, _signed(token), key, late)
-
-    rows = doc_text(docs).mapInArrow(emit, "token long, key long, frequent boolean")
-    # frequent shingles are salted by key: they count as shared, and each is a node of its own instead of a gathered group
-    salt = F.when(F.col("frequent"), F.col("key")).otherwise(F.lit(0))
-    by_token = Window.partitionBy("token", "_salt")
-    shared = rows.withColumn("_salt", salt).withColumns({"_least": F.min("key").over(by_token), "_most": F.max("key").over(by_token)})
-    shared = cut(shared.filter(F.col("frequent") | (F.col("_least") != F.col("_most"))).select("token", "key", "frequent").distinct())
-    sizes = reps.groupBy(F.col("hi").alias("key")).agg(F.min("n").alias("n"))
+                head = emitted(own)
+                parts.append((head, np.full(len(head), key)))
+                held += len(head)
+            if held > _RUN:
+                yield flush()
+                held = 0
+                if len(seen) > 500_000:  # between runs only: within a run each set counts once
+                    seen.clear()
+        if parts:
+            yield flush()
+
+    rows = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(emit, "token long, key long, known byte")
+    # those known to be shared are spread by key; the others meet by shingle
+    meet = Window.partitionBy("token", F.when(F.col("known") == 1, F.col("key")).otherwise(F.lit(0)))
+    seen = rows.select("token", "key", "known", F.min("key").over(meet).alias("_least"), F.max("key").over(meet).alias("_most"))
+    shared = seen.filter((F.col("known") == 1) | (F.col("_least") != F.col("_most"))).select("token", "key")
+    return cut(shared.repartition("key").dropDuplicates(["key", "token"]))
+
+
+def cells(shared: DataFrame, sizes: DataFrame) -> DataFrame:
+    """(hi, cell) of the sets that may be linked to another one. ``sizes`` has key and n."""
     # a partner may be a fifth smaller, and K with it
-    need = F.greatest(F.lit(1), F.floor(F.floor(F.col("n") * 4 / 5) / 10))
-    strong = shared.groupBy("key").agg(F.count("*").alias("_c")).join(sizes, "key").filter(F.col("_c") >= need).select("key", "n")
-    strong = cut(strong)
-    held = shared.join(strong.select("key"), "key")
-    rare = held.filter("not frequent")
-    hubs = rare.groupBy("token").agg(F.min("key").alias("hub"), F.max("key").alias("_most")).filter("hub <> _most").select("token", "hub")
-    rare = rare.join(hubs, "token").select("key", "hub")
-    again = rare.select("key").union(held.filter("frequent").select("key")).groupBy("key").agg(F.count("*").alias("_c"))
-    strong = again.join(strong, "key").filter(F.col("_c") >= need).select("key")
-    edges = rare.union(held.filter("frequent").select("key", F.col("token").alias("hub"))).join(strong, "key")
-    cells = connected(edges, "key", "hub").select(F.col("node").alias("hi"), F.col("component").alias("cell"))
-    wanted = cut(reps.join(cells, "hi").select("hi", "best", "n", "cell"))
-    # blocks: a cell's sets by size; only blocks whose sizes can link meet
+    need = F.greatest(F.lit(1), F.floor(F.floor(F.col("n") * 4 / 5) / 10)).alias("need")
+    strong = cut(shared.groupBy("key").agg(F.count("*").alias("c")).join(sizes, "key").select("key", "c", need).filter("c >= need").drop("c"))
+    held = shared.join(strong, "key")
+    often = held.groupBy("token").agg(F.count("*").alias("df")).filter("df > 1")
+    own = Window.partitionBy("key")
+    ranked = held.join(often, "token").select("token", "key", "need", F.row_number().over(own.orderBy("df", "token")).alias("r"), F.count("*").over(own).alias("c"))
+    rarest = cut(ranked.filter("c >= need and r <= c - need + 1").select("token", "key"))
+    hubs = rarest.groupBy("token").agg(F.min("key").alias("hub"), F.max("key").alias("_most")).filter("hub <> _most").select("token", "hub")
+    edges = rarest.join(hubs, "token").select("key", "hub")
+    return connected(edges, "key", "hub").select(F.col("node").alias("hi"), F.col("component").alias("cell"))
+
+
+def blocks(wanted: DataFrame) -> tuple[DataFrame, bool]:
+    """(hi, best, cell, i, j): the pairs of blocks in which each set of a cell is compared, and whether any cell has several.
+
+    A large cell is cut by size and then by hash; a block meets those of its own size band and of the next.
+    """
     crowd = wanted.groupBy("cell").agg(F.count("*").alias("_m"), F.sum("n").alias("_n")).filter("_m > 1")
-    many = crowd.filter(F.col("_n") > BLOCK).select("cell").count()
     placed = wanted.join(crowd, "cell")
-    if many:
-        block = F.floor(F.sum("n").over(Window.partitionBy("cell").orderBy("n", "hi").rowsBetween(Window.unboundedPreceding, 0)) / BLOCK)
-        placed = placed.withColumn("block", F.when(F.col("_n") > BLOCK, block).otherwise(F.lit(0)).cast("int"))
-        span = placed.groupBy("cell", "block").agg(F.min("n").alias("lo_n"), F.max("n").alias("hi_n"))
-        left, right = span.select("cell", F.col("block").alias("i"), F.col("hi_n").alias("_top")), span.select("cell", F.col("block").alias("j"), F.col("lo_n").alias("_low"))
-        meet = left.join(right, "cell").filter((F.col("i") <= F.col("j")) & (F.col("_low") * 4 <= F.col("_top") * 5))
-        side = meet.select("cell", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-        placed = placed.join(side, ["cell", "block"]).select("hi", "best", "cell", "i", "j")
-    else:
-        placed = placed.select("hi", "best", "cell", F.lit(0).alias("i"), F.lit(0).alias("j"))
-    placed = cut(placed)
-    texts = doc_text(docs).select("text", *_row_key())
-    again_rows = placed.groupBy("hi", "best.d", "best.h").agg(F.collect_list(F.struct("cell", "i", "j")).alias("spots"))
-    if placed.count() <= BROADCAST_ROWS:
-        again_rows = F.broadcast(again_rows)
-    read = texts.join(again_rows, ["d", "h"]).select("hi", "text", "spots")
-    member = pa.schema([("hi", pa.int64()), ("tokens", pa.binary()), ("cell", pa.int64()), ("i", pa.int32()), ("j", pa.int32())])
+    if not crowd.filter(F.col("_n") > BLOCK).count():
+        return placed.select("hi", "best", "cell", F.lit(0).cast("long").alias("i"), F.lit(0).cast("long").alias("j")), False
+    # linked sizes differ by 1.25 at most, so they lie in neighbouring bands
+    band = F.when(F.col("_n") > BLOCK, F.floor(F.log(F.col("n")) / F.log(F.lit(1.26)))).otherwise(F.lit(0)).cast("long")
+    placed = placed.withColumn("band", band)
+    ways = placed.groupBy("cell", "band").agg(F.ceil(F.sum("n") / BLOCK).cast("long").alias("q"))
+    placed = placed.join(ways, ["cell", "band"]).withColumn("block", F.col("band") * (1 << 32) + F.pmod(F.xxhash64("hi"), F.col("q")))
+    here = placed.select("cell", "band", "block").distinct()
+    there = here.select("cell", F.explode(F.array(F.col("band"), F.col("band") - 1)).alias("band"), F.col("block").alias("j"))
+    meet = here.withColumnRenamed("block", "i").join(there, ["cell", "band"]).filter("i <= j")
+    side = meet.select("cell", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
+    return placed.join(side, ["cell", "block"]).select("hi", "best", "cell", "i", "j"), True
+
+
+def _classed(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, h, component_id, and the key (best.d, best.h) of the row that stands for the class, for every row of ``docs``."""
+    named = cut(keys(docs))
+    reps = named.filter("n_shingles > 0").groupBy("hi", "lo").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(NOBODY)).alias("d"), "h")).alias("best"), F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"))
+    reps = cut(reps)
+    near = cells(shared_shingles(docs), reps.groupBy(F.col("hi").alias("key")).agg(F.min("n").alias("n")))
+    placed, many = blocks(cut(reps.join(near, "hi").select("hi", "best", "n", "cell")))
+    spots = placed.groupBy("hi", "best.d", "best.h").agg(F.collect_list(F.struct("cell", "i", "j")).alias("spots"))
+    texts = docs.select(squeezed(F.col("text").cast("string")).alias("text"), *_row_key())
+    # rows that share a key are copies of each other: solve() keeps one
+    read = texts.join(spots, ["d", "h"]).select("hi", "text", "spots")
+    member = pa.schema([("hi", pa.int64()), ("tokens", pa.binary()), ("cell", pa.int64()), ("i", pa.int64()), ("j", pa.int64())])
 
     def reread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches):
+        for b in slices(batches, _SLICE // 2):
+            texts = pa.array([unsqueezed(v) for v in b.column(1)], pa.binary()).cast(pa.large_string())
             lines = [
                 (d, own.tobytes(), s["cell"], s["i"], s["j"])
-                for d, own, spots in zip(b.column(0).to_pylist(), shingle_sets(b.column(1)), b.column(2).to_pylist())
+                for d, own, spots in zip(b.column(0).to_pylist(), shingle_sets(texts), b.column(2).to_pylist())
                 for s in spots
             ]
             yield record(member, *zip(*lines))
 
-    # only few sets are in cells: small cells share tasks
-    members = read.mapInArrow(reread, "hi long, tokens binary, cell long, i int, j int")
+    members = read.mapInArrow(reread, "hi long, tokens binary, cell long, i long, j long")
 
     def solve(group: pa.Table) -> pa.Table:
         ids, first = np.unique(group.column("hi").to_numpy(), return_index=True)

@@ -10,6 +10,8 @@ from comotion.llm import lang_id, ngram_join, packing, quality_rules, repeats
 from comotion.llm.common import table
 
 WORD_BPE = "word_bpe_49k.json"
+#: Bytes of a passage of fifty words, of four letters and a gap each: what occurs twice at that length goes.
+PASSAGE = 250
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -28,8 +30,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Takes repeated passages out of the texts."""
-    return repeats.rewrite(docs)
+    """Takes passages of ``PASSAGE`` bytes and more that occur again out of the texts."""
+    return repeats.rewrite(docs, PASSAGE)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

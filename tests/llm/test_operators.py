@@ -279,6 +279,34 @@ def test_join_against_brute_force(spark, docs, monkeypatch, block):
     assert sorted(map(tuple, ngram_join.link_classes(df).collect()), key=repr) == brute_classes(texts(df))
 
 
+def test_join_finds_every_link_whatever_a_row_is_called(spark):
+    """One doc_id with two texts: both links are found in any order of the rows."""
+    one, two = ([f"{c}{k}" for k in range(61)] for c in "pq")
+    rows = [(5, " ".join(one)), (5, " ".join(two)), (9, " ".join([*one[:-1], "other"])), (2, " ".join([*two[:-1], "else"]))]
+    for own in (rows, rows[::-1], rows[2:] + rows[:2]):
+        got = sorted(tuple(r) for r in ngram_join.link_classes(spark.createDataFrame(own, "doc_id long, text string")).collect())
+        assert got == [(2, 57, 2), (5, 57, 2), (5, 57, 5), (9, 57, 5)]
+
+
+def test_shared_shingles_meet(spark):
+    """Every shingle that two runs or more hold is found, though each run sends two of its holders only."""
+    rng = np.random.default_rng(1)
+    runs = [(rng.integers(0, 40, 60).astype(np.uint64), np.arange(60, dtype=np.int64) + 100 * r) for r in range(4)]
+    holders = {}
+    for token, key in runs:
+        for t, k in zip(token.tolist(), key.tolist()):
+            holders.setdefault(t, set()).add(k)
+    met, known = {}, set()
+    for token, key in runs:
+        for t, k, sure in zip(token.tolist(), key.tolist(), ngram_join.dealt(token, key).tolist()):
+            known |= {(t, k)} if sure else set()
+            if not sure:
+                met.setdefault(t, []).append(k)
+    assert all(len(v) <= 2 * len(runs) for v in met.values())
+    got = known | {(t, k) for t, own in met.items() if min(own) != max(own) for k in own}
+    assert got == {(t, k) for t, own in holders.items() if len(own) > 1 for k in own}
+
+
 def test_join_local_classes():
     for seed in range(10):
         rows = near_copies(seed, 40)
