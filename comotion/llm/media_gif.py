@@ -5,8 +5,10 @@ dictionary, undoes interlacing, applies the local or global palette, and compose
 disposal method of the frame before. ``encode`` writes index frames with real LZW compression.
 
 ``payload_columns`` stores bytes as pixel indices of grey-scale frames (192 pixels a row, at most ``ROWS`` rows a frame)
-and reads them back. Defined results: null or empty texts are one padded block of 192 spaces; equal texts give equal
-values; long texts span several frames; damaged files raise ``ValueError`` in ``decode`` and give null columns in ``frames``.
+and reads them back from the colours that the composed frames show. Defined results: null or empty texts are one padded
+block of 192 spaces; equal texts give equal values; long texts span several frames, of which one at a time is composed. Damaged files, and files that claim a canvas or a frame of more than ``MAX_PIXELS``
+pixels, raise ``ValueError`` in ``decode`` and give one row of null columns in ``frames``; missing pixels of a code stream
+that ends early are index 0.
 """
 
 from __future__ import annotations
@@ -26,6 +28,7 @@ from comotion.llm.common import doc_text, record, slices
 
 WIDTH, ROWS = 192, 1024
 BINS = 8
+MAX_PIXELS = 1 << 25  # four bytes each
 FRAMES_SCHEMA = "media_id long, frame int, delay_ms int, left int, top int, width int, height int, disposal int, transparent int, rgba binary, histogram array<long>"
 COLUMNS_SCHEMA = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_frames int"
 
@@ -218,14 +221,28 @@ def _interlaced(height: int) -> np.ndarray:
     return np.concatenate([np.arange(start, height, step) for start, step in ((0, 8), (4, 8), (2, 4), (1, 2))])
 
 
-def decode(data: bytes, compose: bool = True) -> tuple[int, int, list[Frame]]:
-    """Canvas width and height, and the frames with indices and, if composed, the RGBA canvas each one shows."""
+def decode(data: bytes) -> tuple[int, int, list[Frame]]:
+    """Canvas width and height, and the frames with indices and the RGBA canvas that each one shows."""
+    frames = list(shown(data))
+    return *struct.unpack("<HH", data[6:10]), frames
+
+
+def shown(data: bytes) -> Iterator[Frame]:
+    """The frames one by one, composed."""
+    try:
+        yield from _shown(data)
+    except (IndexError, struct.error) as e:
+        raise ValueError("data ends early") from e
+
+
+def _shown(data: bytes) -> Iterator[Frame]:
     if data[:6] not in (b"GIF87a", b"GIF89a") or len(data) < 13:
         raise ValueError("not a GIF")
     width, height, flags, _, _ = struct.unpack("<HHBBB", data[6:13])
+    if width * height > MAX_PIXELS:
+        raise ValueError("canvas too large")
     shared, at = _palette(data, 13, flags) if flags & 0x80 else (None, 13)
-    canvas = np.zeros((height, width, 4), np.uint8) if compose else None
-    frames: list[Frame] = []
+    canvas = np.zeros((height, width, 4), np.uint8)
     delay, disposal, transparent = 0, 0, -1
     while at < len(data) and data[at] != 0x3B:
         kind = data[at]
@@ -239,6 +256,8 @@ def decode(data: bytes, compose: bool = True) -> tuple[int, int, list[Frame]]:
         if kind != 0x2C or at + 10 > len(data):
             raise ValueError("unknown block")
         left, top, w, h, flags = struct.unpack("<HHHHB", data[at + 1 : at + 10])
+        if w * h > MAX_PIXELS:
+            raise ValueError("frame too large")
         own, at = _palette(data, at + 10, flags) if flags & 0x80 else (None, at + 10)
         bits = data[at]
         stream, at = _unblock(data, at + 1)
@@ -251,33 +270,35 @@ def decode(data: bytes, compose: bool = True) -> tuple[int, int, list[Frame]]:
             undone[_interlaced(h)] = indices
             indices = undone
         frame = Frame(indices, left, top, delay, disposal, transparent, own)
-        if compose:
-            palette = own if own is not None else shared
-            if palette is None:
-                raise ValueError("no palette")
-            before = canvas.copy() if disposal == 3 else None
-            seen = indices[: max(0, height - top), : max(0, width - left)]
-            there = canvas[top : top + seen.shape[0], left : left + seen.shape[1]]
-            drawn = seen != transparent if transparent >= 0 else np.ones(seen.shape, bool)
-            colours = np.zeros((256, 4), np.uint8)
-            colours[: len(palette), :3], colours[:, 3] = palette, 255
-            there[drawn] = colours[seen][drawn]
-            frame.rgba = canvas.copy()
-            if disposal == 2:
-                there[:] = 0
-            elif disposal == 3:
-                canvas = before
-        frames.append(frame)
+        palette = own if own is not None else shared
+        if palette is None:
+            raise ValueError("no palette")
+        before = canvas.copy() if disposal == 3 else None
+        seen = indices[: max(0, height - top), : max(0, width - left)]
+        there = canvas[top : top + seen.shape[0], left : left + seen.shape[1]]
+        colours = np.zeros((256, 4), np.uint8)
+        colours[: len(palette), :3], colours[:, 3] = palette, 255
+        if transparent >= 0:
+            drawn = seen != transparent
+            there[drawn] = colours[seen[drawn]]
+        else:
+            there[:] = colours[seen]
+        frame.rgba = canvas.copy()
+        if disposal == 2:
+            there[:] = 0
+        elif disposal == 3:
+            canvas = before
+        yield frame
         delay, disposal, transparent = 0, 0, -1
-    return width, height, frames
 
 
 def histogram(rgba: np.ndarray, bins: int = BINS) -> np.ndarray:
     """Counts of opaque pixels by bins of red, green and blue, one after the other."""
     step = 256 // bins
     seen = rgba.reshape(-1, 4)
-    seen = seen[seen[:, 3] > 0]
-    return np.concatenate([np.bincount(seen[:, k] // step, minlength=bins) for k in range(3)]).astype(np.int64)
+    if not seen[:, 3].all():
+        seen = seen[seen[:, 3] > 0]
+    return np.concatenate([np.bincount(seen[:, k], minlength=256).reshape(bins, step).sum(1) for k in range(3)]).astype(np.int64)
 
 
 # Columns ---------------------------------------------------------------------------------------------------------
@@ -298,15 +319,20 @@ def to_media(data: bytes) -> bytes:
 
 def _stored(raw: bytes) -> tuple:
     media = to_media(payload(raw))
-    _, _, frames = decode(media, compose=False)
-    back = b"".join(f.indices.tobytes() for f in frames)
-    grey = np.bincount(np.frombuffer(back, np.uint8) // (256 // BINS), minlength=BINS)
+    back, grey, n = [], np.zeros(BINS, np.int64), 0
+    for f in shown(media):
+        h, w = f.indices.shape
+        seen = f.rgba[f.top : f.top + h, f.left : f.left + w]  # a shorter last frame lies on what the one before left
+        back.append(seen[:, :, 0].tobytes())
+        grey += histogram(seen)[:BINS]  # all three channels are alike
+        n += 1
+    back = b"".join(back)
     sha = lambda x: hashlib.sha256(x).hexdigest()
-    return (len(raw), len(back), sha(back), zlib.crc32(back[-16:]), len(media), sha(media), ",".join(map(str, grey.tolist())), len(frames))
+    return (len(raw), len(back), sha(back), zlib.crc32(back[-16:]), len(media), sha(media), ",".join(map(str, grey.tolist())), n)
 
 
 def payload_columns(docs: DataFrame) -> DataFrame:
-    """Stores every text as a GIF, reads it back, and returns hashes, sizes and the colour histogram (grey: one channel)."""
+    """Stores every text as a GIF, reads it back, and returns hashes, sizes and the colour histogram of the frames (grey: one channel)."""
     kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32())
     out = pa.schema(list(zip([c.split()[0] for c in COLUMNS_SCHEMA.split(", ")], kinds)))
 
@@ -327,11 +353,12 @@ def frames(df: DataFrame, media_id: str | Column, data: str | Column) -> DataFra
         for b in batches:
             for key, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 try:
-                    shown = decode(raw or b"")[2]
+                    for _ in shown(raw or b""):  # a file is read whole before its first frame counts
+                        pass
                 except ValueError:
                     yield record(out, [key], *[[None]] * 10)
                     continue
-                for k, f in enumerate(shown):
+                for k, f in enumerate(shown(raw or b"")):
                     h, w = f.indices.shape
                     yield record(out, [key], [k], [f.delay_ms], [f.left], [f.top], [w], [h], [f.disposal], [f.transparent], [f.rgba.tobytes()], [histogram(f.rgba)])
 
