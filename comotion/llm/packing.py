@@ -64,7 +64,7 @@ class Tokens:
         memo, words, other, pairs = self.memo, {}, {}, []
         for part in new:
             core = part if part.isalpha() else part.rstrip(_MARKS)
-            if not core.isalpha():
+            if not core.lower().isalpha():  # a letter whose lower case ends in a combining mark joins what follows
                 other[part] = None
                 continue
             if core is not part and len(core) < len(part):
