@@ -80,7 +80,7 @@ def _repeat_words(words: Column) -> Column:
 
 def measures(docs: DataFrame) -> DataFrame:
     """doc_id, the contract's base counts, and the measures that the threshold table names."""
-    return _measured(doc_text(docs), "doc_id").drop("_hold")
+    return _measured(doc_text(docs), "doc_id")
 
 
 def _measured(docs: DataFrame, carry: str) -> DataFrame:
@@ -93,8 +93,7 @@ def _measured(docs: DataFrame, carry: str) -> DataFrame:
         F.filter(F.split(text, "\n"), lambda x: x.rlike(gap)).alias("_l"),
     )
     stops = sorted({form for w in STOP_WORDS for form in (w, w.capitalize())})
-    counted = base.select(
-        carry,
+    counts = F.struct(
         F.size("_w").cast("long").alias("n_words"),
         F.length(F.translate("_t", " \t\n\x0b\x0c\r", "")).cast("long").alias("word_chars"),
         (F.length("_t") - F.length(F.translate("_t", "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
@@ -103,12 +102,12 @@ def _measured(docs: DataFrame, carry: str) -> DataFrame:
         (F.length("_t") - F.length(F.regexp_replace("_t", r"\p{Lu}", ""))).cast("long").alias("_capitals"),
         F.size("_l").cast("long").alias("_lines"),
         F.size(F.filter("_w", lambda x: x.isin(stops))).cast("long").alias("_stops"),
-        F.rand().alias("_hold"),  # a filter above can't be pushed below, which would compute all of this once for each rule
     )
+    # one struct a row, built once: no filter above a generator is pushed below it, which would count again for each rule
+    counted = base.select(carry, F.explode(F.array(counts)).alias("_m")).select(carry, "_m.*")
     per = lambda a, b: F.coalesce(F.try_divide(F.col(a).cast("double"), F.col(b)), F.lit(0.0))
     return counted.select(
         *counted.columns[:6],
-        "_hold",
         per("word_chars", "n_words").alias("mean_word_chars"),
         per("n_symbols", "n_words").alias("symbols_per_word"),
         per("_capitals", "word_chars").alias("capitals_per_char"),
@@ -135,11 +134,10 @@ def verdict(rules: tuple[Rule, ...] = RULES) -> Column:
 
 def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """doc_id, counts, measures, base_failed and kept for every row of ``docs``."""
-    m, hold = _measured(doc_text(docs), "doc_id"), F.col("_hold") >= 0
-    return m.select("*", (hold & base_failed()).alias("base_failed"), (hold & ~base_failed() & verdict(rules)).alias("kept")).drop("_hold")
+    return _measured(doc_text(docs), "doc_id").select("*", base_failed().alias("base_failed"), (~base_failed() & verdict(rules)).alias("kept"))
 
 
 def keep(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The rows of ``docs``, all columns, that pass; a narrow native pass."""
     rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("_row"), F.col("text").cast("string").alias("text"))
-    return _measured(rows, "_row").filter((F.col("_hold") >= 0) & ~base_failed() & verdict(rules)).select("_row.*")
+    return _measured(rows, "_row").filter(~base_failed() & verdict(rules)).select("_row.*")
