@@ -10,8 +10,8 @@ _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 def placement() -> str:
     owner = ", ".join(map(str, sharding.fill(sharding.shard_names(), sharding.SLOTS)))
-    return f"""with k as (select doc_id, cast('0x' || substr(md5(coalesce(cast(doc_id as varchar), '')), 1, 15) as bigint) % {sharding.SLOTS} as slot from documents)
-        select doc_id, slot, cast(([{owner}])[slot + 1] as bigint) as shard from k"""
+    return f"""with k as (select *, cast('0x' || substr(md5(coalesce(cast(doc_id as varchar), '')), 1, 15) as bigint) % {sharding.SLOTS} as slot from documents)
+        select *, cast(([{owner}])[slot + 1] as bigint) as shard from k"""
 
 
 def rules() -> str:

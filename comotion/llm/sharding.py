@@ -5,7 +5,8 @@ is its hash modulo the table size, so placement is one lookup in a broadcast tab
 keys. The table has ``slots`` rows whatever the data's size, which bounds the broadcast; filling it is the only driver work.
 
 Defined results: a null key goes to the slot of the empty string; equal keys always share a shard; an empty input gives no
-rows. Other columns pass through; the result's own columns are ``slot`` and ``shard``.
+rows. All columns pass through; the result adds ``slot`` and ``shard``. An input column of either name (the key may be one)
+passes through as ``slot_in`` or ``shard_in``, with further ``_in`` until the name is free.
 """
 
 from __future__ import annotations
@@ -67,5 +68,13 @@ def lookup(spark: SparkSession, shards: list[str], slots: int = SLOTS) -> DataFr
 def place(df: DataFrame, key: str = "doc_id", shards: list[str] | None = None, slots: int = SLOTS) -> DataFrame:
     """``df`` with its slot and shard: one broadcast hash join, no shuffle."""
     shards = shards or shard_names()
-    keyed = df.drop("slot", "shard").withColumn("slot", slot_of(F.col(key), slots))
-    return keyed.join(F.broadcast(lookup(df.sparkSession, shards, slots)), "slot", "left").select(*[c for c in keyed.columns if c != "slot"], "slot", "shard")
+    names: list[str] = []
+    for c in df.columns:
+        own = c
+        if c in ("slot", "shard"):
+            own += "_in"
+            while own in df.columns or own in names:
+                own += "_in"
+        names.append(own)
+    keyed = df.select(*(F.col(f"`{c}`").alias(n) for c, n in zip(df.columns, names)), slot_of(F.col(f"`{key}`"), slots).alias("slot"))
+    return keyed.join(F.broadcast(lookup(df.sparkSession, shards, slots)), "slot", "left").select(*(F.col(f"`{n}`") for n in names), "slot", "shard")
