@@ -27,9 +27,7 @@ empty table gives no rows.
 from __future__ import annotations
 
 import heapq
-from bisect import bisect_left
 from collections.abc import Iterator
-from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -48,6 +46,8 @@ _RUN = 1_000_000
 _SLICE = 1 << 20
 #: Stands for a null doc_id, after all others.
 NOBODY = (1 << 63) - 1
+#: Lists that the heap hands out for one merge.
+_WAYS = 64
 #: Weight of list length when the number of long lists is chosen.
 MU = 0.01
 
@@ -216,27 +216,33 @@ class Index:
         n_long = min(need - 1, int(need / (MU * np.log2(longest + 1) + 1)), len(spot) - 1)
         lists = [self.owner[self.first[s] : self.first[s + 1]] for s in spot]
         short, long = lists[: len(lists) - n_long], lists[len(lists) - n_long :]
-        least = need - n_long
-        merged = heapq.merge(*(x.tolist() for x in short))
-        found = []
-        for i, run in groupby(merged):
-            count = sum(1 for _ in run)
-            if count >= least and self.alive[i]:
-                found.append((i, count))
-        out = []
-        long = [x.tolist() for x in long] if found and len(found) < 64 else long
-        for i, count in found:
-            size = int(self.sizes[i])
-            # overlap needed with this very set: 100 o >= 80 (n + size - o)
-            wanted = -(-80 * (n + size) // 180)
-            for k, x in enumerate(long):
-                if count + len(long) - k < wanted:
+        found, count = merged_lists(short)
+        able = (count >= need - n_long) & self.alive[found]
+        found, count = found[able].astype(np.int64), count[able]
+        # overlap needed with each very set: 100 o >= 80 (n + size - o)
+        wanted = -(-80 * (n + self.sizes[found]) // 180)
+        for k, x in enumerate(long):
+            if not k % 16:
+                able = count + (len(long) - k) >= wanted
+                found, count, wanted = found[able], count[able], wanted[able]
+                if not len(found):
                     break
-                j = bisect_left(x, i) if isinstance(x, list) else int(np.searchsorted(x, i))
-                count += j < len(x) and x[j] == i
-            if count >= wanted and 100 * count >= 80 * (n + size - count):
-                out.append(i)
-        return np.array(out, np.int64)
+            count += x[np.minimum(np.searchsorted(x, found), len(x) - 1)] == found
+        return found[count >= wanted]
+
+
+def merged_lists(lists: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct ids of sorted lists and how many lists hold each. A heap hands out the shortest lists; each merge goes back into it."""
+    heap = [(len(x), k) for k, x in enumerate(lists)]
+    heapq.heapify(heap)
+    lists = list(lists)
+    while len(heap) > 1:
+        taken = [lists[heapq.heappop(heap)[1]] for _ in range(min(_WAYS, len(heap)))]
+        lists.append(np.sort(np.concatenate(taken), kind="stable"))  # merges runs
+        heapq.heappush(heap, (len(lists[-1]), len(lists) - 1))
+    whole = lists[heap[0][1]] if heap else np.zeros(0, np.int32)
+    first = np.flatnonzero(np.concatenate(([True], whole[1:] != whole[:-1]))) if len(whole) else np.zeros(0, np.int64)
+    return whole[first], np.diff(np.append(first, len(whole)))
 
 
 def classes(sets: list[np.ndarray]) -> np.ndarray:
