@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import zstandard
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from comotion.components import cut  # noqa: F401
@@ -32,6 +32,21 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
+def hash_sample(rows: DataFrame, by: str, per: int, most: int) -> DataFrame:
+    """(doc_id, ``by``): at most ``per`` rows of each value, of the least hashes of doc_id, for the ``most`` most frequent values (ties by value).
+
+    Rows above a hash that about twice as many rows stay under are dropped where they lie, so that no value gathers in one task.
+    """
+    h = F.xxhash64("doc_id")
+    counts = rows.groupBy(by).agg(F.count("*").alias("n")).orderBy(F.desc("n"), by).limit(most).collect()
+    tops = [(r[by], -(1 << 63) + min((1 << 64) - 1, (1 << 64) * (2 * per + 64) // r.n)) for r in counts]
+    kind = rows.schema[by].dataType.simpleString()
+    bound = F.broadcast(rows.sparkSession.createDataFrame(tops, f"_value {kind}, _top long"))  # ``most`` rows
+    near = rows.join(bound, (F.col(by) == F.col("_value")) & (h <= F.col("_top"))).select("doc_id", by, h.alias("_h"))
+    first = Window.partitionBy(by).orderBy("_h", "doc_id")
+    return near.withColumn("_r", F.row_number().over(first)).filter(F.col("_r") <= per).select("doc_id", by)
+
+
 def slices(batches: Iterator[pa.RecordBatch], limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Re-cuts Arrow batches so that each holds about ``limit`` bytes of text (one document at least)."""
     for batch in batches:

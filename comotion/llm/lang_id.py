@@ -4,8 +4,9 @@ Each language owns a codeword of bits. For each bit a binary classifier over has
 frequencies of the lower-cased text) predicts that bit. Decoding weighs every classifier's logistic loss by its accuracy in
 training and picks the nearest codeword; the loss gap to the runner-up flags ambiguity.
 
-Training reads a bounded sample: at most ``PER_LANGUAGE`` rows of each language (smallest hashes of doc_id), never held-out
-ones. Prediction reads whole texts and nothing else.
+Training reads a bounded sample: at most ``PER_LANGUAGE`` rows of each language (smallest hashes of doc_id) and
+``SAMPLE_ROWS`` in all, never held-out ones; the code covers the ``MAX_LANGUAGES`` most frequent languages. Prediction reads
+whole texts and nothing else.
 
 Defined results: null text, or text without a letter, is ``und`` with score 0; without any labelled row every text is
 ``und``; equal texts get equal results; very long texts are counted whole, slice by slice.
@@ -19,14 +20,15 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from comotion.llm.common import doc_text, held_out, record, slices
+from comotion.llm.common import doc_text, hash_sample, held_out, record, slices
 
 DIM_BITS = 12
 PER_LANGUAGE = 400
 MAX_LANGUAGES = 256
+SAMPLE_ROWS = 16_384  # 16 kB each on the driver
 #: Softmax gap between best and second codeword under which a text is ambiguous.
 AMBIGUOUS = 0.2
 SCHEMA = "doc_id long, lang_pred string, score double, runner_up string, ambiguous boolean, bit_errors int"
@@ -99,12 +101,12 @@ class Model:
 
 def fit(texts: list[np.ndarray], langs: list[str], rounds: int = 300) -> Model | None:
     """Logistic regressions for all bits at once, by accelerated full-batch gradient steps."""
-    names = sorted(set(langs))[:MAX_LANGUAGES]
+    names = sorted(set(langs))
     if not names:
         return None
-    keep = [i for i, v in enumerate(langs) if v in set(names)]
-    x = np.stack([texts[i] for i in keep]).astype(np.float32)
-    y = np.array([names.index(langs[i]) for i in keep])
+    number = {v: k for k, v in enumerate(names)}
+    x = np.stack(texts).astype(np.float32)
+    y = np.array([number[v] for v in langs])
     book = code_book(len(names))
     scale = (1 / (x.std(0) + 1e-4)).astype(np.float32)
     mean = x.mean(0)
@@ -129,19 +131,19 @@ def fit(texts: list[np.ndarray], langs: list[str], rounds: int = 300) -> Model |
 def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model | None:
     """Learns from rows that are not held out and have a language; text and lang only."""
     known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").isNotNull().alias("has"))
-    known = known.filter(F.col("has") & F.col("lang").isNotNull() & ~held_out(F.col("doc_id")))
-    first = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = known.withColumn("_r", F.row_number().over(first)).filter(F.col("_r") <= per_language).select("doc_id", "lang")
+    known = known.filter(F.col("has") & F.col("doc_id").isNotNull() & F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "lang")
+    n = max(1, min(MAX_LANGUAGES, known.select("lang").distinct().limit(MAX_LANGUAGES).count()))
+    ids = hash_sample(known, "lang", min(per_language, SAMPLE_ROWS // n), MAX_LANGUAGES)
     out = pa.schema([("lang", pa.string()), ("x", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
             yield record(out, b.column(2), [features(t).tobytes() for t in b.column(1).to_pylist()])
 
-    picked = [(int(r.doc_id), r.lang) for r in ids.limit(per_language * MAX_LANGUAGES).collect() if r.doc_id is not None]
+    picked = [(r.doc_id, r.lang) for r in ids.collect()]
     if not picked:
         return None
-    sample = docs.sparkSession.createDataFrame(picked, "doc_id long, _lang string").distinct()  # bounded by the two parameters
+    sample = docs.sparkSession.createDataFrame(picked, "doc_id long, _lang string").distinct()  # ``SAMPLE_ROWS`` at most
     rows = doc_text(docs).filter(F.col("text").isNotNull()).join(F.broadcast(sample), "doc_id").select("doc_id", "text", "_lang").mapInArrow(run, "lang string, x binary").collect()
     rows.sort(key=lambda r: (r.lang, bytes(r.x)))
     return fit([np.frombuffer(r.x, np.float32) for r in rows], [r.lang for r in rows])

@@ -6,7 +6,7 @@ vectors are averaged and maximised over the chunks, and a logistic unit turns bo
 learned value for every byte at every place, so a response is a sum of table entries.
 
 Training reads at most ``PER_LABEL`` labelled rows of each label (smallest hashes of doc_id), never held-out ones, whole
-texts. Defined results: null and empty texts are one chunk of padding and get a score too; equal texts get equal scores;
+texts, and of these in the order of their hashes what fits into ``SAMPLE_BYTES`` bytes. Defined results: null and empty texts are one chunk of padding and get a score too; equal texts get equal scores;
 without labels every score is 0.5; very long texts are scored whole, slice by slice.
 """
 
@@ -17,12 +17,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from comotion.llm.common import doc_text, held_out, record, slices
+from comotion.llm.common import doc_text, hash_sample, held_out, record, slices
 
 PER_LABEL = 800
+SAMPLE_BYTES = 64 << 20
 FILTERS = 12
 TAPS = 3  # byte pairs, so 6 bytes
 CHUNK, OVERLAP = 512, 32  # bytes
@@ -143,12 +144,19 @@ def fit(texts: list[bytes], labels: list[int], epochs: int = 6, seed: int = 3) -
 def train(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL) -> Network:
     lab = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))
     lab = lab.filter(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    first = Window.partitionBy("quality").orderBy(F.xxhash64("doc_id"), "doc_id")
-    picked = lab.withColumn("_r", F.row_number().over(first)).filter(F.col("_r") <= per_label).select("doc_id", "quality").collect()
+    spark, text = docs.sparkSession, F.coalesce("text", F.lit(""))
+    picked = {(r.doc_id, r.quality) for r in hash_sample(lab, "quality", per_label, 2).collect()}
     if not picked:
         return fit([], [])
-    sample = docs.sparkSession.createDataFrame([(r.doc_id, r.quality) for r in picked], "doc_id long, _quality int").distinct()
-    rows = doc_text(docs).join(F.broadcast(sample), "doc_id").select(F.coalesce("text", F.lit("")).cast("binary").alias("raw"), "_quality").collect()
+    sample = F.broadcast(spark.createDataFrame(sorted(picked), "doc_id long, _quality int"))
+    sizes = doc_text(docs).join(sample, "doc_id").select("doc_id", F.octet_length(text).alias("n")).groupBy("doc_id").agg(F.sum("n").alias("n"), F.min(F.xxhash64("doc_id")).alias("h")).collect()
+    fits, room = set(), SAMPLE_BYTES
+    for r in sorted(sizes, key=lambda r: (r.h, r.doc_id)):
+        if r.n <= room:
+            fits.add(r.doc_id)
+            room -= r.n
+    sample = F.broadcast(spark.createDataFrame(sorted(x for x in picked if x[0] in fits), "doc_id long, _quality int"))
+    rows = doc_text(docs).join(sample, "doc_id").select(text.cast("binary").alias("raw"), "_quality").collect()
     rows.sort(key=lambda r: (r._quality, bytes(r.raw)))
     return fit([bytes(r.raw) for r in rows], [r._quality for r in rows])
 

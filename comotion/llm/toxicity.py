@@ -20,10 +20,10 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from comotion.llm.common import doc_text, held_out, record, slices
+from comotion.llm.common import doc_text, hash_sample, held_out, record, slices
 
 PER_LABEL = 1500
 VOCABULARY = 20_000
@@ -80,6 +80,21 @@ def grade_of(own: set[str], toxic: int, telling: set[str]) -> int:
     return 0 if not toxic else 1 if n <= 1 else 2 if n <= 3 else 3
 
 
+def cuts_of(gap: np.ndarray) -> np.ndarray:
+    """Ordered cut points from the first one and the logarithms of the steps."""
+    return gap[0] + np.concatenate(([0.0], np.cumsum(np.exp(gap[1:]))))
+
+
+def loss(w: np.ndarray, gap: np.ndarray, rows: np.ndarray, cols: np.ndarray, above: np.ndarray, balance: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+    """Weighted logistic loss of all thresholds, and its gradients by weights and cut parameters. Text rows[i] holds word cols[i]."""
+    reach = np.clip(cuts_of(gap) - np.bincount(rows, weights=w[cols], minlength=len(above))[:, None], -30, 30)
+    value = float(((np.logaddexp(0, reach) - (1 - above) * reach) * balance[:, None]).sum())
+    diff = (1 / (1 + np.exp(reach)) - above) * balance[:, None]
+    by_cut = -diff.sum(0)
+    steps = [by_cut[k + 1 :].sum() * np.exp(gap[k + 1]) for k in range(len(gap) - 1)]
+    return value, np.bincount(cols, weights=diff.sum(1)[rows], minlength=len(w)), np.array([by_cut.sum(), *steps])
+
+
 def fit(texts: list[set[str]], toxic: list[int], rounds: int = 400) -> Model:
     if not texts or not any(toxic):
         return Model({}, np.full(GRADES - 1, 20.0))
@@ -96,27 +111,21 @@ def fit(texts: list[set[str]], toxic: list[int], rounds: int = 400) -> Model:
     ahead, ahead_gap = w, gap
     rate = 1 / (0.75 * max(1, np.bincount(rows, minlength=1).max()))
     for step in range(1, rounds + 1):  # accelerated proximal gradient
-        cuts = ahead_gap[0] + np.concatenate(([0.0], np.cumsum(np.exp(ahead_gap[1:]))))
-        score = np.bincount(rows, weights=ahead[cols], minlength=n)
-        diff = (1 / (1 + np.exp(np.clip(cuts - score[:, None], -30, 30))) - above) * balance[:, None]
-        g = np.bincount(cols, weights=diff.sum(1)[rows], minlength=d)
-        gc = -diff.sum(0)
-        gg = np.array([gc.sum(), *[gc[k + 1 :].sum() * np.exp(ahead_gap[k + 1]) for k in range(GRADES - 2)]])
+        _, g, gg = loss(ahead, ahead_gap, rows, cols, above, balance)
         moved = ahead - rate * g
         new = np.sign(moved) * np.maximum(np.abs(moved) - rate * SPARSITY, 0)
         new_gap = ahead_gap - 0.2 * gg
         speed = (step - 1) / (step + 2)
         ahead, ahead_gap = new + speed * (new - w), new_gap + speed * (new_gap - gap)
         w, gap = new, new_gap
-    cuts = gap[0] + np.concatenate(([0.0], np.cumsum(np.exp(gap[1:]))))
+    cuts = cuts_of(gap)
     return Model({word: float(w[i]) for word, i in at.items() if abs(w[i]) > 1e-3}, cuts)
 
 
 def train(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL) -> Model:
     lab = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic"))
     lab = lab.filter(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    first = Window.partitionBy("toxic").orderBy(F.xxhash64("doc_id"), "doc_id")
-    picked = lab.withColumn("_r", F.row_number().over(first)).filter(F.col("_r") <= per_label).select("doc_id", "toxic").collect()
+    picked = hash_sample(lab, "toxic", per_label, 2).collect()
     if not picked:
         return fit([], [])
     sample = docs.sparkSession.createDataFrame([(r.doc_id, r.toxic) for r in picked], "doc_id long, _toxic int").distinct()

@@ -66,6 +66,36 @@ def test_language(spark, docs, odd, empty):
     assert lang_id.keep_identified(odd, model).columns == odd.columns
 
 
+def test_decoding_against_plain_loops():
+    """Best codeword by the trusted loss, its softmax score and wrong bits, one text and one bit at a time."""
+    import math
+
+    rng = np.random.default_rng(4)
+    book = lang_id.code_book(5)
+    model = lang_id.Model(list("abcde"), book, rng.normal(size=(book.shape[1], 9)), rng.normal(size=book.shape[1]), rng.uniform(0.05, 1, book.shape[1]))
+    x = rng.normal(size=(40, 9))
+    order, _, p, errors = model.decode(x)
+    for i in range(40):
+        margin = [sum(model.weights[b][k] * x[i][k] for k in range(9)) + model.bias[b] for b in range(book.shape[1])]
+        loss = [sum(t * math.log1p(math.exp(-m * c)) for t, m, c in zip(model.trust, margin, row)) / sum(model.trust) for row in book]
+        soft = [math.exp(-4 * v) for v in loss]
+        rank = sorted(range(5), key=lambda k: loss[k])
+        assert list(order[i]) == rank and abs(p[i, 0] - soft[rank[0]] / sum(soft)) < 1e-9
+        assert errors[i] == sum((m > 0) != (c > 0) for m, c in zip(margin, book[rank[0]]))
+
+
+def test_samples_are_least_hashes(spark):
+    from comotion.llm.common import hash_sample
+
+    rows = spark.range(5000).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 10 == 0, "rare").when(F.col("id") == 4999, "once").otherwise("often").alias("v"))
+    got = {}
+    for r in hash_sample(rows, "v", 20, 2).collect():
+        got.setdefault(r.v, set()).add(r.doc_id)
+    want = {v: {r.doc_id for r in rows.filter(F.col("v") == v).orderBy(F.xxhash64("doc_id")).limit(20).collect()} for v in ("rare", "often")}
+    assert got == want
+    assert hash_sample(rows.limit(0), "v", 20, 2).count() == 0
+
+
 def test_code_book_corrects_errors():
     for n in (2, 3, 4, 7, 20):
         book = lang_id.code_book(n)
@@ -229,6 +259,33 @@ def test_toxicity(spark, odd, empty):
     assert toxicity.score(empty, model).count() == 0 and toxicity.score(odd, model).count() == len(ODD)
 
 
+def test_ordinal_gradient_and_order():
+    """Gradients against differences of the loss; more telling words mean more severity, whatever the text around them."""
+    rng = np.random.default_rng(2)
+    rows, cols = np.repeat(np.arange(12), 4), rng.integers(0, 7, 48)
+    above = (rng.integers(0, 4, 12)[:, None] > np.arange(3)).astype(float)
+    w, gap, balance = rng.normal(size=7), rng.normal(size=3), rng.uniform(0.1, 1, 12)
+    at = lambda w, g: toxicity.loss(w, g, rows, cols, above, balance)[0]
+    _, by_word, by_gap = toxicity.loss(w, gap, rows, cols, above, balance)
+    step = 1e-6
+    for k in range(7):
+        d = np.eye(7)[k] * step
+        assert abs((at(w + d, gap) - at(w - d, gap)) / (2 * step) - by_word[k]) < 1e-6
+    for k in range(3):
+        d = np.eye(3)[k] * step
+        assert abs((at(w, gap + d) - at(w, gap - d)) / (2 * step) - by_gap[k]) < 1e-6
+    random.seed(5)
+    texts, toxic = [], []
+    for k in range(300):
+        bad = [f"bad{j}" for j in random.sample(range(8), 1 + k % 5)] if k % 2 else []
+        texts.append({*(f"w{random.randint(0, 60)}" for _ in range(20)), *bad})
+        toxic.append(int(bool(bad)))
+    model = toxicity.fit(texts, toxic)
+    severity = [model.exceed({"w1", "w2", *(f"bad{j}" for j in range(n))}).sum() for n in range(7)]
+    assert severity == sorted(severity) and severity[0] < toxicity.FLAG < severity[2]
+    assert all((np.diff(model.exceed(t)) <= 0).all() for t in texts)
+
+
 # 5 join ----------------------------------------------------------------------------------------------------------------
 
 
@@ -344,6 +401,29 @@ def test_quality_classifier(spark, odd, empty):
     assert {r.score for r in quality_cnn.score(odd, quality_cnn.train(df, lab.limit(0))).collect()} == {0.5}
 
 
+def test_network_against_plain_loops():
+    """Responses, pooling over chunks and the logistic unit, one byte at a time."""
+    import math
+
+    rng = np.random.default_rng(8)
+    good, bad = (["".join(rng.choice(list(a), 90)) for _ in range(30)] for a in ("abcde ", "#$%& "))
+    net = quality_cnn.fit([t.encode() for t in good + bad], [1] * 30 + [0] * 30)
+    filters = quality_cnn.FILTERS
+    for raw in (b"", b"a", b"abcde #$% " * 3, ("abc de" * 200).encode(), "é#".encode() * 700):
+        pooled = []
+        for own in quality_cnn.chunks(raw):
+            tops = []
+            for f in range(filters):
+                sums = []
+                for at in range(0, len(own) - 2 * quality_cnn.TAPS + 1, 2):
+                    sums.append(net.bias[f] + sum(net.kernel[k][own[at + k]][f] for k in range(2 * quality_cnn.TAPS)))
+                tops.append(max(0.0, max(sums)))
+            pooled.append(tops)
+        x = [sum(p[f] for p in pooled) / len(pooled) for f in range(filters)] + [max(p[f] for p in pooled) for f in range(filters)]
+        want = 1 / (1 + math.exp(-(sum(a * b for a, b in zip(x, net.out)) + net.out_bias)))
+        assert abs(net.probability(raw) - want) < 1e-3, raw[:20]
+
+
 def test_chunks_cover_everything():
     for n in (0, 1, 511, 512, 513, 992, 5000):
         raw = bytes(k % 250 + 1 for k in range(n))
@@ -369,6 +449,12 @@ def test_sharding(spark, odd, empty):
     got = sharding.place(odd).collect()
     assert len(got) == len(ODD) and len({r.shard for r in got if r.doc_id == 6}) == 1
     assert sharding.place(empty).count() == 0
+    assert sharding.place(odd).columns == [*("slot_in" if c == "slot" else c for c in odd.columns), "slot", "shard"]
+    assert {(r.slot_in, r.text) for r in got} == {("clash", t) for _, t in ODD}
+    clash = spark.createDataFrame([("a", 1, 2), ("b", 3, 4), (None, 5, 6)], "shard string, slot long, slot_in long")
+    by = {r.shard_in: r for r in sharding.place(clash, "shard").collect()}
+    assert by["a"].slot_in_in == 1 and by["a"].slot_in == 2 and 0 <= by["a"].slot < sharding.SLOTS
+    assert by["b"].shard == sharding.fill(sharding.shard_names())[by["b"].slot]
 
 
 # 8 packing -------------------------------------------------------------------------------------------------------------
@@ -408,6 +494,21 @@ def test_packing(docs, odd, empty):
     assert packing.pack_documents(empty, WORDS).count() == 0
 
 
+def test_ids_of_letters_that_change_case():
+    """A letter whose lower case ends in a combining mark joins what follows it."""
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(WORDS)
+    plain.encode_special_tokens = True
+    rng = random.Random(6)
+    texts = ["İ<", "İ- b", "aİ.", "İstanbul'da.", "ß! İİ?? ŉ, ǰ. ΐ; ﬁn-"]
+    texts += ["".join(rng.choice("aİiI.-<'ß ŉ̇") for _ in range(rng.randint(1, 9))) for _ in range(400)]
+    ids, offsets = packing.Tokens(WORDS).packed(pa.array(texts))
+    for k, t in enumerate(texts):
+        assert ids[offsets[k] : offsets[k + 1]].tolist() == plain.encode(t, add_special_tokens=False).ids, t
+
+
 def test_plan_places_every_cell():
     rng = random.Random(4)
     for _ in range(10):
@@ -521,3 +622,30 @@ def test_gif_reads_foreign_files():
     assert media_gif.decode(data)[2][0].indices.tolist() == [[0, 1], [1, 0]]
     with pytest.raises(ValueError):
         media_gif.decode(data[:20])
+
+
+def test_gif_damaged(spark):
+    """Every cut and every changed byte of a file decodes or raises ValueError; a huge canvas is refused before it is allocated."""
+    shape = np.arange(48, dtype=np.uint8).reshape(6, 8) % 4
+    colours = np.array([[0, 0, 0], [255, 0, 0], [0, 255, 0], [0, 0, 255]], np.uint8)
+    whole = media_gif.encode([media_gif.Frame(shape, delay_ms=50, disposal=2), media_gif.Frame(shape[::-1], 1, 1, 20, 1, 3)], 10, 8, colours)
+    bad = [whole[:k] for k in range(len(whole))]
+    rng = random.Random(3)
+    for _ in range(1500):
+        own = bytearray(whole)
+        for _ in range(rng.randint(1, 3)):
+            own[rng.randrange(len(own))] = rng.randrange(256)
+        bad.append(bytes(own))
+    broken = []
+    for data in bad:
+        try:
+            media_gif.decode(data)
+        except ValueError:
+            broken.append(data)
+    huge = whole[:6] + b"\xff\xff\xff\xff" + whole[10:]
+    with pytest.raises(ValueError):
+        media_gif.decode(huge)
+    rows = [(1, whole), (2, broken[0]), (3, huge), (4, None), (5, broken[-1])]
+    got = media_gif.frames(spark.createDataFrame(rows, "id long, data binary"), "id", "data").collect()
+    assert sorted((r.media_id, r.frame) for r in got if r.frame is not None) == [(1, 0), (1, 1)]
+    assert sorted(r.media_id for r in got if r.frame is None) == [2, 3, 4, 5]
