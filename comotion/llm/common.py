@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,6 +14,7 @@ from pyspark.sql import functions as F
 
 from comotion.components import cut  # noqa: F401
 
+_libc = ctypes.CDLL(None)
 #: Word separators of every contract in this package: space and the controls 9 to 13.
 WORD_GAP = r"[\x20\x09-\x0D]+"
 #: Python work is cut into slices of about this many text bytes, so that memory does not follow the batch size.
@@ -32,6 +34,13 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
+def small_table(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """A few rows of the driver's as a table; by Arrow, so that no Python worker starts for them."""
+    kinds = {"long": pa.int64(), "bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}
+    fields = [f.split() for f in schema.split(", ")]
+    return spark.createDataFrame(pa.table([pa.array(c, kinds[k]) for c, (_, k) in zip(zip(*rows) if rows else [[]] * len(fields), fields)], names=[n for n, _ in fields]))
+
+
 def hash_sample(rows: DataFrame, by: str, per: int, most: int) -> DataFrame:
     """(doc_id, ``by``): at most ``per`` rows of each value, of the least hashes of doc_id, for the ``most`` most frequent values (ties by value).
 
@@ -41,7 +50,7 @@ def hash_sample(rows: DataFrame, by: str, per: int, most: int) -> DataFrame:
     counts = rows.groupBy(by).agg(F.count("*").alias("n")).orderBy(F.desc("n"), by).limit(most).collect()
     tops = [(r[by], -(1 << 63) + min((1 << 64) - 1, (1 << 64) * (2 * per + 64) // r.n)) for r in counts]
     kind = rows.schema[by].dataType.simpleString()
-    bound = F.broadcast(rows.sparkSession.createDataFrame(tops, f"_value {kind}, _top long"))  # ``most`` rows
+    bound = F.broadcast(small_table(rows.sparkSession, tops, f"_value {kind}, _top long"))  # ``most`` rows
     near = rows.join(bound, (F.col(by) == F.col("_value")) & (h <= F.col("_top"))).select("doc_id", by, h.alias("_h"))
     first = Window.partitionBy(by).orderBy("_h", "doc_id")
     return near.withColumn("_r", F.row_number().over(first)).filter(F.col("_r") <= per).select("doc_id", by)
@@ -61,7 +70,14 @@ def slices(batches: Iterator[pa.RecordBatch], limit: int = SLICE_BYTES) -> Itera
             hi = max(lo + 1, int(np.searchsorted(ends, base + limit, side="right")))
             yield batch.slice(lo, hi - lo)
             lo = hi
-    pa.default_memory_pool().release_unused()  # workers outlive their tasks
+    hand_back()
+
+
+def hand_back() -> None:
+    """Gives freed memory back to the system at a task's end: workers outlive their tasks."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(_libc, "malloc_trim", None):
+        trim(0)
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -85,7 +101,7 @@ def squeezed(text: Column) -> Column:
         for column in columns:
             data = column.cast(pa.binary()) if not pa.types.is_binary(column.type) else column
             yield pa.array((None if not v.is_valid else pack(v.as_buffer()) for v in data), pa.binary())
-        pa.default_memory_pool().release_unused()
+        hand_back()
 
     return F.arrow_udf(run, "binary")(text)
 

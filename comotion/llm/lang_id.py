@@ -23,7 +23,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from comotion.llm.common import doc_text, hash_sample, held_out, record, slices
+from comotion.llm.common import doc_text, hash_sample, held_out, record, slices, small_table
 
 DIM_BITS = 12
 PER_LANGUAGE = 400
@@ -143,7 +143,7 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model | None:
     picked = [(r.doc_id, r.lang) for r in ids.collect()]
     if not picked:
         return None
-    sample = docs.sparkSession.createDataFrame(picked, "doc_id long, _lang string").distinct()  # ``SAMPLE_ROWS`` at most
+    sample = small_table(docs.sparkSession, sorted(set(picked)), "doc_id long, _lang string")  # ``SAMPLE_ROWS`` at most
     rows = doc_text(docs).filter(F.col("text").isNotNull()).join(F.broadcast(sample), "doc_id").select("doc_id", "text", "_lang").mapInArrow(run, "lang string, x binary").collect()
     rows.sort(key=lambda r: (r.lang, bytes(r.x)))
     return fit([np.frombuffer(r.x, np.float32) for r in rows], [r.lang for r in rows])

@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from comotion.components import connected, cut
-from comotion.llm.common import doc_text, record, slices, squeezed, text_bytes, unsqueezed
+from comotion.llm.common import doc_text, record, slices, text_bytes
 
 SHINGLE = 5
 #: Shingles of one block: what a task holds of a cell, about 30 bytes each, twice where two blocks meet.
@@ -367,17 +367,16 @@ def _classed(docs: DataFrame) -> DataFrame:
     near = cells(shared_shingles(docs), reps.groupBy(F.col("hi").alias("key")).agg(F.min("n").alias("n")))
     placed, many = blocks(cut(reps.join(near, "hi").select("hi", "best", "n", "cell")))
     spots = placed.groupBy("hi", "best.d", "best.h").agg(F.collect_list(F.struct("cell", "i", "j")).alias("spots"))
-    texts = docs.select(squeezed(F.col("text").cast("string")).alias("text"), *_row_key())
+    texts = docs.select(F.col("text").cast("string").alias("text"), *_row_key())
     # rows that share a key are copies of each other: solve() keeps one
     read = texts.join(spots, ["d", "h"]).select("hi", "text", "spots")
     member = pa.schema([("hi", pa.int64()), ("tokens", pa.binary()), ("cell", pa.int64()), ("i", pa.int64()), ("j", pa.int64())])
 
     def reread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, _SLICE // 2):
-            texts = pa.array([unsqueezed(v) for v in b.column(1)], pa.binary()).cast(pa.large_string())
+        for b in slices(batches, _SLICE):
             lines = [
                 (d, own.tobytes(), s["cell"], s["i"], s["j"])
-                for d, own, spots in zip(b.column(0).to_pylist(), shingle_sets(texts), b.column(2).to_pylist())
+                for d, own, spots in zip(b.column(0).to_pylist(), shingle_sets(b.column(1)), b.column(2).to_pylist())
                 for s in spots
             ]
             yield record(member, *zip(*lines))

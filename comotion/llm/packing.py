@@ -28,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from comotion.llm.common import cut, doc_text, record, slices, text_bytes
+from comotion.llm.common import cut, doc_text, record, slices, small_table, text_bytes
 
 WINDOW = 4096
 GRID = 32
@@ -130,7 +130,7 @@ def pieces(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t, end = tokens(path), END_ID.to_bytes(4, "little")
-        for b in slices(batches, 4 << 20):
+        for b in slices(batches, 2 << 20):
             ids, offsets = t.packed(b.column(1))
             rows = []
             for key, lo, hi in zip(b.column(0).to_pylist(), offsets.tolist(), offsets[1:].tolist()):
@@ -270,7 +270,7 @@ def pack(cut_pieces: DataFrame, window: int = WINDOW, grid: int = GRID) -> DataF
             slot += k
         first += n
     schema = "_cell long, _lo long, _hi long, _k long, _first long, _slot long"
-    placed = spark.createDataFrame(rows, schema)  # bounded by the number of cells, not by the corpus
+    placed = small_table(spark, rows, schema)  # bounded by the number of cells, not by the corpus
     order = Window.partitionBy("_cell", "_part").orderBy("doc_id", "start", "ids_crc32")
     ranked = keyed.withColumn("_row", F.row_number().over(order) - 1).join(bases, ["_cell", "_part"])
     ranked = ranked.withColumn("_rank", F.col("_row") + F.col("_base")).drop("_row", "_base", "_part")

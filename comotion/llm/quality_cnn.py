@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from comotion.llm.common import doc_text, hash_sample, held_out, record, slices
+from comotion.llm.common import doc_text, hash_sample, held_out, record, slices, small_table
 
 PER_LABEL = 800
 SAMPLE_BYTES = 64 << 20
@@ -148,14 +148,14 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL) -> Net
     picked = {(r.doc_id, r.quality) for r in hash_sample(lab, "quality", per_label, 2).collect()}
     if not picked:
         return fit([], [])
-    sample = F.broadcast(spark.createDataFrame(sorted(picked), "doc_id long, _quality int"))
+    sample = F.broadcast(small_table(spark, sorted(picked), "doc_id long, _quality int"))
     sizes = doc_text(docs).join(sample, "doc_id").select("doc_id", F.octet_length(text).alias("n")).groupBy("doc_id").agg(F.sum("n").alias("n"), F.min(F.xxhash64("doc_id")).alias("h")).collect()
     fits, room = set(), SAMPLE_BYTES
     for r in sorted(sizes, key=lambda r: (r.h, r.doc_id)):
         if r.n <= room:
             fits.add(r.doc_id)
             room -= r.n
-    sample = F.broadcast(spark.createDataFrame(sorted(x for x in picked if x[0] in fits), "doc_id long, _quality int"))
+    sample = F.broadcast(small_table(spark, sorted(x for x in picked if x[0] in fits), "doc_id long, _quality int"))
     rows = doc_text(docs).join(sample, "doc_id").select(text.cast("binary").alias("raw"), "_quality").collect()
     rows.sort(key=lambda r: (r._quality, bytes(r.raw)))
     return fit([bytes(r.raw) for r in rows], [r._quality for r in rows])

@@ -220,7 +220,7 @@ def _contexts(docs: DataFrame, wanted: DataFrame, least: int) -> DataFrame:
     """(fp, ctx, before, after) for the (key, pos, fp, ctx) of ``wanted``; ``before`` is reversed."""
     gram = gram_of(least)
     spots = wanted.groupBy("key").agg(F.collect_list(F.struct("fp", "ctx", "pos")).alias("spots"))
-    read = docs.select(_key().alias("key"), squeezed(_text()).alias("text")).join(spots, "key").select("spots", "text")
+    read = docs.select(_key().alias("key"), squeezed(_text()).alias("text")).join(spots.hint("merge"), "key").select("spots", "text")  # a task has Python work on one side of the shuffle only
     out = pa.schema([("fp", pa.int64()), ("ctx", pa.int64()), ("before", pa.binary()), ("after", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -340,7 +340,7 @@ def _with_spans(docs: DataFrame, keep: list[str], least: int) -> DataFrame:
     right = spans(docs, least).select(F.col("key").alias("_id"), F.col("spans").alias("_spans"))
     row = F.struct(*(F.col(f"`{c}`") for c in keep)).alias("_row")
     left = docs.select(row, _key().alias("_key"), squeezed(F.col("text").cast("string")).alias("text"))
-    return left.join(right, F.col("_key") == F.col("_id"), "left").select("_row", "text", "_spans")
+    return left.join(right.hint("merge"), F.col("_key") == F.col("_id"), "left").select("_row", "text", "_spans")
 
 
 def strip(docs: DataFrame, least: int = LEAST) -> DataFrame:

@@ -23,7 +23,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from comotion.llm.common import doc_text, hash_sample, held_out, record, slices
+from comotion.llm.common import doc_text, hash_sample, held_out, record, slices, small_table
 
 PER_LABEL = 1500
 VOCABULARY = 20_000
@@ -128,7 +128,7 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL) -> Mod
     picked = hash_sample(lab, "toxic", per_label, 2).collect()
     if not picked:
         return fit([], [])
-    sample = docs.sparkSession.createDataFrame([(r.doc_id, r.toxic) for r in picked], "doc_id long, _toxic int").distinct()
+    sample = small_table(docs.sparkSession, sorted({(r.doc_id, r.toxic) for r in picked}), "doc_id long, _toxic int")
     out = pa.schema([("toxic", pa.int32()), ("words", pa.list_(pa.string()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
