@@ -8,9 +8,9 @@ repeats cover go, in every copy. Texts are UTF-8 bytes; matches never cross docu
 2. Anchors with equal bytes all around (from the piece's first place in a window to its last) are one context; a context
    that occurs twice makes all windows around its anchor repeats. Where a piece has one context only, that settles it.
 3. The different contexts of a piece meet in one group. The group's suffixes (from the anchor on) form an enhanced suffix
-   array; a stack scan of its common-prefix lengths gives the interval tree. Within an interval the same tree over the
-   bytes before the anchor gives the left extensions. Where the bytes beyond differ on both sides, the members are all
-   occurrences of one maximal repeat (``maximal_groups``); those that reach ``least`` bytes name what goes.
+   array; a stack scan of its common-prefix lengths gives the interval tree. In every interval the members that differ
+   beyond it are compared on the left side: the repeat they share is maximal, and counts if its left extension, with the
+   interval's common prefix, reaches ``least`` bytes. All members of an interval count, not only neighbours in the array.
 4. Very large groups (more than ``LARGE`` contexts) are not gathered: their windows are hashed one by one and counted.
 
 Texts cross a shuffle compressed. Rows are known by a 64-bit hash of doc_id and text.
@@ -132,32 +132,41 @@ def prefix_intervals(lcp: list[int], least: int) -> Iterator[tuple[int, int, int
             stack.append((value, start))
 
 
-def maximal_groups(left: list[bytes], right: list[bytes], gram: int, least: int) -> Iterator[tuple[int, int, list[int]]]:
-    """(bytes before the anchor, bytes from it on, members) of every maximal repeat of ``least`` bytes or more in a group.
+def diverse_reach(shared: list[int], label: list) -> list[int]:
+    """For each member, in the order of the left sides, its longest left extension in common with a member of another label.
 
-    ``left`` holds the bytes before the anchor, nearest first. Intervals of the suffix array give the common bytes on the
-    right, intervals of the left sides within one give the left extensions. Only what is diverse beyond both ends is
-    maximal; anything else lies within another group.
+    ``shared`` are the common left bytes of neighbours.
     """
+    out = []
+    for steps, names in ((shared, label), (shared[::-1], label[::-1])):
+        reach, one = [-1], -1
+        for s, a, b in zip(steps, names, names[1:]):
+            one = s if a != b else min(one, s)
+            reach.append(one)
+        out.append(reach)
+    return list(map(max, out[0], reversed(out[1])))
+
+
+def group_repeats(left: list[bytes], right: list[bytes], least: int, gram: int) -> list[list[tuple[int, int]]]:
+    """For each context the ranges of left lengths j for which its window of j bytes before the anchor and ``least - j`` from it on occurs again in the group.
+
+    ``left`` holds the bytes before the anchor, nearest first. Members of an interval that go on with different bytes share
+    a repeat that ends there; their common left extension, beyond which they differ too, is where it begins.
+    """
+    found: list[list[tuple[int, int]]] = [[] for _ in left]
     order = sorted(range(len(right)), key=right.__getitem__)
     lcp = [common(right[a], right[b]) for a, b in zip(order, order[1:])]
     rank = {k: r for r, k in enumerate(sorted(range(len(left)), key=left.__getitem__))}
     for length, first, last in prefix_intervals(lcp, gram):
         own = sorted(order[first : last + 1], key=rank.__getitem__)
         shared = [common(left[a], left[b]) for a, b in zip(own, own[1:])]
-        # the interval of the root has no left extension in common
-        for reach, a, z in prefix_intervals(shared, max(0, least - length)):
-            members = own[a : z + 1]
-            if reach + length >= least and len({right[k][length : length + 1] or k for k in members}) > 1:
-                yield reach, length, members
-
-
-def group_repeats(left: list[bytes], right: list[bytes], least: int, gram: int) -> list[list[tuple[int, int]]]:
-    """For each context the ranges of left lengths j for which its window of j bytes before the anchor and ``least - j`` from it on occurs again in the group."""
-    found: list[list[tuple[int, int]]] = [[] for _ in left]
-    for reach, length, members in maximal_groups(left, right, gram, least):
-        for k in members:
-            found[k].append((max(0, least - length), reach))
+        wanted = max(0, least - length)
+        if max(shared) < wanted:
+            continue
+        label = [right[k][length : length + 1] or k for k in own]  # a text's end differs from everything
+        for item, reach in zip(own, diverse_reach(shared, label)):
+            if reach >= wanted:
+                found[item].append((wanted, reach))
     return [merged(x) for x in found]
 
 
