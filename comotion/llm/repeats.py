@@ -317,7 +317,8 @@ def spans(docs: DataFrame, least: int = LEAST) -> DataFrame:
     every = cut(anchor_rows(docs, least))
     # partial sums shrink copies before the shuffle; what occurs once goes before anything else is read
     pieces = every.groupBy("fp").agg(F.count("*").alias("n"), F.min("ctx").alias("least"), F.max("ctx").alias("most")).filter("n > 1")
-    live = cut(every.join(pieces.select("fp", (F.col("least") == F.col("most")).alias("one")), "fp"))
+    # a table of its own, so that Spark may split a piece that very many documents hold
+    live = cut(every.join(cut(pieces.select("fp", (F.col("least") == F.col("most")).alias("one"))), "fp"))
     mixed = live.filter("not one").drop("one")
     contexts = cut(mixed.groupBy("fp", "ctx").agg(F.count("*").alias("c"), F.min(F.struct("key", "pos")).alias("at")))
     group = contexts.groupBy("fp").agg(F.min("c").alias("least"), F.count("*").alias("m")).filter("least = 1").select("fp", "m")
