@@ -15,6 +15,18 @@ SCALARS = {
     "sync_dist(t double, x double, y double, t0 double, x0 double, y0 double, t1 double, x1 double, y1 double)": "hypot(x - (x0 + (x1 - x0) * CASE WHEN t1 = t0 THEN 0D ELSE (t - t0) / (t1 - t0) END), y - (y0 + (y1 - y0) * CASE WHEN t1 = t0 THEN 0D ELSE (t - t0) / (t1 - t0) END))",
 }
 
+_SEG = "ax0 double, ay0 double, ax1 double, ay1 double, bx0 double, by0 double, bx1 double, by1 double"
+_turn = lambda p, q, r: f"(({q}x1 - {q}x0) * ({p}y{r} - {q}y0) - ({q}y1 - {q}y0) * ({p}x{r} - {q}x0))"
+_CROSS = f"{_turn('b', 'a', 0)} * {_turn('b', 'a', 1)} < 0 AND {_turn('a', 'b', 0)} * {_turn('a', 'b', 1)} < 0"
+_ends = lambda p, q: [f"point_seg_dist({p}x{k}, {p}y{k}, {q}x0, {q}y0, {q}x1, {q}y1)" for k in (0, 1)]
+SCALARS[f"seg_dist({_SEG})"] = f"CASE WHEN {_CROSS} THEN 0D ELSE least({', '.join(_ends('a', 'b') + _ends('b', 'a'))}) END"
+# the difference of two motions is a motion itself: the closest approach is the origin's distance from its stretch of the common time
+_place = lambda p, c, t: f"({p}{c}0 + ({p}{c}1 - {p}{c}0) * CASE WHEN {p}t1 = {p}t0 THEN 0D ELSE ({t} - {p}t0) / ({p}t1 - {p}t0) END)"
+_gap = lambda c, t: f"{_place('a', c, t)} - {_place('b', c, t)}"
+_FROM, _TO = "greatest(at0, bt0)", "least(at1, bt1)"
+_MOVING = ", ".join(f"{p}{c}{k} double" for p in "ab" for k in (0, 1) for c in "txy")
+SCALARS[f"cpa_dist({_MOVING})"] = f"CASE WHEN {_FROM} <= {_TO} THEN point_seg_dist(0D, 0D, {_gap('x', _FROM)}, {_gap('y', _FROM)}, {_gap('x', _TO)}, {_gap('y', _TO)}) END"
+
 
 @udtf(returnType="oid long, t0 long, t1 long, tol double")
 class SimplifyTrack:

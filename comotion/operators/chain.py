@@ -2,21 +2,28 @@
 
 Time is cut into blocks that are swept in parallel. A block yields what begins and ends inside it, the sets alive from its
 first unit on with their last unit, and the sets alive at its end with their first. Joining neighbouring blocks only needs
-the latter two, which are open candidates and not data.
+the latter two, which are open candidates and not data. What joined blocks yield has the same form, so blocks are joined
+level by level, many at a time in parallel.
 """
 
 from __future__ import annotations
 
-import numpy as np
+from collections.abc import Callable, Iterable
+
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from comotion.components import cut
+
 _KINDS = "kind string, block long, first long, last long, members array<long>, u0 long, u1 long, nodes array<string>"
 _ARROW = pa.schema([("kind", pa.string()), ("block", pa.int64()), ("first", pa.int64()), ("last", pa.int64()), ("members", pa.list_(pa.int64())), ("u0", pa.int64()), ("u1", pa.int64()), ("nodes", pa.list_(pa.string()))])
 _OUT = "members array<long>, u0 long, u1 long, nodes array<string>"
 _OUT_ARROW = pa.schema([("members", pa.list_(pa.int64())), ("u0", pa.int64()), ("u1", pa.int64()), ("nodes", pa.list_(pa.string()))])
 
+#: Blocks that one task joins.
+_FAN = 64
+
 State = dict[frozenset, tuple[int, frozenset]]  # members: first unit, nodes passed
 
 
@@ -26,6 +33,20 @@ def _put(state: State, members: frozenset, start: int, nodes: frozenset) -> None
     state[members] = (start, nodes)
 
 
+def _holders(sets: Iterable[frozenset]) -> dict[int, list[frozenset]]:
+    """The sets that hold each member."""
+    out: dict[int, list[frozenset]] = {}
+    for v in sets:
+        for x in v:
+            out.setdefault(x, []).append(v)
+    return out
+
+
+def _touching(holders: dict[int, list[frozenset]], c: frozenset) -> set[frozenset]:
+    """The sets that share a member with ``c``; only those are intersected."""
+    return {v for x in c for v in holders.get(x, ())}
+
+
 def undominated(state: State) -> State:
     """Without sets of which a larger one has been alive as long."""
     out: State = {}
@@ -56,11 +77,13 @@ def sweep(units: list[tuple[int, list[tuple[str, frozenset]]]], m: int, dominanc
         if unit == end + 1:
             break
         new: State = {}
+        holders = _holders(state)
         for name, c in clusters:
             node = frozenset((name,)) if track else none
-            for v, (s, n) in state.items():
+            for v in _touching(holders, c):
                 both = v & c
                 if len(both) >= m:
+                    s, n = state[v]
                     _put(new, both, s, n | node)
             _put(new, c, unit, node)
         if dominance:
@@ -109,7 +132,10 @@ def _table(rows: list[tuple], schema: pa.Schema) -> pa.Table:
 
 
 def chain(clusters: DataFrame, m: int, least_units: int, block: int = 64, dominance: bool = True, track: bool = False) -> DataFrame:
-    """(members, u0, u1, nodes) of every chain of at least ``least_units`` units; ``nodes`` are 'unit:cluster' if tracked."""
+    """(members, u0, u1, nodes) of every chain of at least ``least_units`` units; ``nodes`` are 'unit:cluster' if tracked.
+
+    The blocks are swept when this is called, and written; the last joining runs when the result is read.
+    """
 
     def local(group: pa.Table) -> pa.Table:
         units = _units(group)
@@ -125,55 +151,80 @@ def chain(clusters: DataFrame, m: int, least_units: int, block: int = 64, domina
             rows.append(("through" if s == first else "tail", b, first, last, sorted(v), s, last, sorted(n)))
         return _table(rows, _ARROW)
 
-    parts = clusters.groupBy(F.floor(F.col("t") / block).alias("_b")).applyInArrow(local, _KINDS)
-    inner = parts.filter("kind = 'inner'").select("members", "u0", "u1", "nodes")
+    kept = ("members", "u0", "u1", "nodes")
+    parts = cut(clusters.groupBy(F.floor(F.col("t") / block).alias("_b")).applyInArrow(local, _KINDS))
+    done, wide = parts.filter("kind = 'inner'").select(*kept), block
+    lo, hi = parts.agg(F.min("first"), F.max("last")).first()
+    # only sets that are open at a border meet: those of neighbouring blocks, then of blocks of blocks, until one task holds the rest
+    while lo is not None and hi - lo >= wide * _FAN:
+        wide *= _FAN
+        joined = parts.filter("kind <> 'inner'").groupBy(F.floor(F.col("first") / wide).alias("_b"))
+        parts = cut(joined.applyInArrow(_merger(m, least_units, dominance, wide), _KINDS))
+        done = done.unionByName(parts.filter("kind = 'inner'").select(*kept))
+    rest = parts.filter("kind <> 'inner'").groupBy(F.lit(0).alias("_b")).applyInArrow(_merger(m, least_units, dominance, None), _KINDS)
+    return done.unionByName(rest.select(*kept))
+
+
+def _merger(m: int, least_units: int, dominance: bool, wide: int | None) -> Callable[[pa.Table], pa.Table]:
+    """Joins the blocks of one group in order of time; ``wide`` is the length of the group's own block, none for the last level."""
 
     def join(group: pa.Table) -> pa.Table:
         blocks: dict[int, list] = {}
         for r in group.to_pylist():
-            blocks.setdefault(r["block"], []).append(r)
+            blocks.setdefault(r["first"], []).append(r)
+        begin = min(blocks) // wide * wide if wide else None
+        end = begin + wide - 1 if wide else None
         out: list = []
         state: State = {}
-        done = None
+        last = None
 
-        def close(items, last):
-            out.extend((sorted(v), s, last, sorted(n)) for v, (s, n) in items if last - s + 1 >= least_units)
+        def close(members, start, stop, nodes):
+            kind = "head" if start == begin else "inner"
+            if kind == "head" or stop - start + 1 >= least_units:
+                out.append((kind, begin or 0, begin or 0, end or 0, sorted(members), start, stop, sorted(nodes)))
 
-        for b in sorted(blocks):
-            if done is not None and b != done + 1:
-                close(state.items(), done * block + block - 1)
+        for first in sorted(blocks):
+            if last is not None and first != last + 1:
+                for v, (s, n) in state.items():
+                    close(v, s, last, n)
                 state = {}
-            heads = [(frozenset(r["members"]), r["u1"], frozenset(r["nodes"]), r["kind"]) for r in blocks[b] if r["kind"] in ("head", "through")]
-            last, new = b * block + block - 1, {}
+            before, last, new = first - 1, blocks[first][0]["last"], {}
+            heads = [(frozenset(r["members"]), r["u1"], frozenset(r["nodes"]), r["kind"]) for r in blocks[first] if r["kind"] in ("head", "through")]
+            met = _holders({w for w, *_ in heads})
+            ends: dict[frozenset, list] = {}
+            for w, *rest in heads:
+                ends.setdefault(w, []).append(rest)
             for v, (s, n) in state.items():
                 whole = False
-                for w, z, nodes, kind in heads:
+                for w in _touching(met, v):
                     both = v & w
                     if len(both) < m:
                         continue
                     whole |= both == v
-                    if kind == "through":
-                        _put(new, both, s, n | nodes)
-                    elif z - s + 1 >= least_units:
-                        out.append((sorted(both), s, z, sorted(n | nodes)))
+                    for z, nodes, kind in ends[w]:
+                        if kind == "through":
+                            _put(new, both, s, n | nodes)
+                        else:
+                            close(both, s, z, n | nodes)
                 if not whole:
-                    close([(v, (s, n))], b * block - 1)
+                    close(v, s, before, n)
             for w, z, nodes, kind in heads:
                 if kind == "through":
-                    _put(new, w, b * block, nodes)
-                elif z - b * block + 1 >= least_units:
-                    out.append((sorted(w), b * block, z, sorted(nodes)))
-            for r in blocks[b]:
+                    _put(new, w, first, nodes)
+                else:
+                    close(w, first, z, nodes)
+            for r in blocks[first]:
                 if r["kind"] == "tail":
                     _put(new, frozenset(r["members"]), r["u0"], frozenset(r["nodes"]))
-            state, done = (undominated(new) if dominance else new), b
-        if done is not None:
-            close(state.items(), done * block + block - 1)
-        return _table(out, _OUT_ARROW)
+            state = undominated(new) if dominance else new
+        for v, (s, n) in state.items():
+            if last != end:
+                close(v, s, last, n)
+            else:
+                out.append(("through" if s == begin else "tail", begin, begin, end, sorted(v), s, last, sorted(n)))
+        return _table(out, _ARROW)
 
-    # only sets that are open at a block's border meet here
-    open_sets = parts.filter("kind <> 'inner'")
-    return inner.unionByName(open_sets.groupBy(F.lit(0).alias("_all")).applyInArrow(join, _OUT))
+    return join
 
 
 def chain_printed(clusters: DataFrame, m: int, k: int) -> DataFrame:
@@ -200,7 +251,3 @@ def maximal(convoys: DataFrame) -> DataFrame:
 def finish(convoys: DataFrame) -> DataFrame:
     """Hash-stable form: member ids as a comma-joined string."""
     return convoys.select(F.array_join(F.transform("members", lambda v: v.cast("string")), ",").alias("members"), F.size("members").cast("long").alias("n_members"), "t_start", "t_end", "lifetime")
-
-
-def blocks_for(span: int, cores: int = 32) -> int:
-    return max(16, int(np.ceil(span / (4 * cores))))

@@ -19,14 +19,20 @@ from comotion.model import CLUSTERS
 
 _PAIRS = 1 << 20  # candidate pairs held at a time
 _ARROW = pa.schema([("t", pa.int64()), ("cid", pa.int64()), ("members", pa.list_(pa.int64()))])
-#: A group of more points than this belongs to ``engine="graph"``.
-LOCAL_POINTS = 200_000
 
 
-def sweep_pairs(lo: np.ndarray, hi: np.ndarray, ylo: np.ndarray, yhi: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs (i before j in the order of lo) whose boxes meet, in bounded chunks; boxes are already enlarged."""
-    order = np.argsort(lo, kind="stable")
-    last = np.searchsorted(lo[order], hi[order], side="right")
+def sweep_pairs(lo: np.ndarray, hi: np.ndarray, ylo: np.ndarray, yhi: np.ndarray, part: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Index pairs (i before j in the order of lo) whose boxes meet, in bounded chunks; boxes are already enlarged.
+
+    With ``part`` only boxes of the same part meet: parts lie one after the other, and ranks stand for coordinates in each.
+    """
+    order = np.argsort(lo, kind="stable") if part is None else np.lexsort((lo, part))
+    if part is None:
+        last = np.searchsorted(lo[order], hi[order], side="right")
+    else:
+        marks = np.sort(lo)
+        number = np.unique(part, return_inverse=True)[1].astype(np.int64) * (len(lo) + 1)
+        last = np.searchsorted((number + np.searchsorted(marks, lo, side="right"))[order], (number + np.searchsorted(marks, hi, side="right"))[order], side="right")
     n = np.maximum(0, last - np.arange(len(order)) - 1)
     ends = np.cumsum(n)
     a = 0
@@ -40,10 +46,10 @@ def sweep_pairs(lo: np.ndarray, hi: np.ndarray, ylo: np.ndarray, yhi: np.ndarray
         a = z
 
 
-def close_points(x: np.ndarray, y: np.ndarray, e: float) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of different points at a distance of at most e."""
+def close_points(x: np.ndarray, y: np.ndarray, e: float, part: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of different points (of the same part) at a distance of at most e."""
     wide = np.nextafter(e, np.inf) * (1 + 1e-12) + 1e-9 * max(1.0, float(np.abs(x).max(initial=0)))
-    out = [(i[k], j[k]) for i, j in sweep_pairs(x, x + wide, y, y + wide) for k in [(x[i] - x[j]) ** 2 + (y[i] - y[j]) ** 2 <= e * e]]
+    out = [(i[k], j[k]) for i, j in sweep_pairs(x, x + wide, y - wide, y + wide, part) for k in [(x[i] - x[j]) ** 2 + (y[i] - y[j]) ** 2 <= e * e]]
     return (np.concatenate([p[0] for p in out]), np.concatenate([p[1] for p in out])) if out else (np.zeros(0, int), np.zeros(0, int))
 
 
@@ -99,14 +105,22 @@ def _by_tick(t: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
         yield int(t[own[0]]), own
 
 
+def tick_clusters(t: np.ndarray, oid: np.ndarray, x: np.ndarray, y: np.ndarray, e: float, m: int, border: str = "all", apart: np.ndarray | None = None) -> list[tuple[int, int, list[int]]]:
+    """(tick, least core id, sorted members) of many ticks in one sweep. Rows with different ``apart`` don't meet either."""
+    order = np.lexsort((oid, t)) if apart is None else np.lexsort((oid, t, apart))
+    t, oid, x, y = t[order], oid[order], x[order], y[order]
+    part = t if apart is None else np.cumsum(np.concatenate(([0], (np.diff(t) != 0) | (np.diff(apart[order]) != 0)))) if len(t) else t
+    found = clusters_of(np.arange(len(t)), *close_points(x, y, e, part), m, border)
+    return [(int(t[cid]), int(oid[cid]), oid[own].tolist()) for cid, own in found]
+
+
 def snapshot_clusters(points: DataFrame, e: float, m: int, border: str = "all", engine: str = "local", ticks_per_task: int = 16) -> DataFrame:
-    """(t, cid, members) of every tick of (oid, t, x, y)."""
+    """(t, cid, members) of every tick of (oid, t, x, y). ``local`` holds ``ticks_per_task`` ticks in a task; ``graph`` spreads every tick."""
     if engine == "graph":
         return graph_clusters(points, e, m)
 
     def run(group: pa.Table) -> pa.Table:
-        t, oid, x, y = (group.column(c).to_numpy() for c in ("t", "oid", "x", "y"))
-        rows = [(tick, cid, own) for tick, at in _by_tick(t) if len(at) >= m for cid, own in point_clusters(oid[at], x[at], y[at], e, m, border)]
+        rows = tick_clusters(*(group.column(c).to_numpy() for c in ("t", "oid", "x", "y")), e, m, border)
         return pa.table(list(map(list, zip(*rows))) or [[], [], []], schema=_ARROW)
 
     return points.select("oid", "t", "x", "y").groupBy(F.floor(F.col("t") / ticks_per_task).alias("_b")).applyInArrow(run, CLUSTERS)
@@ -114,10 +128,16 @@ def snapshot_clusters(points: DataFrame, e: float, m: int, border: str = "all",
 
 def graph_clusters(points: DataFrame, e: float, m: int) -> DataFrame:
     """The same for ticks too large for one task: grid join, counts, distributed components, border join."""
-    from comotion.components import cut
     from comotion.operators.neighbors import pairs
 
-    near = cut(pairs(points, e))
+    return clusters_of_links(pairs(points, e), m)
+
+
+def clusters_of_links(near: DataFrame, m: int) -> DataFrame:
+    """(t, cid, members) from neighbours (t, a, b), both ways and each with itself."""
+    from comotion.components import cut
+
+    near = cut(near)
     cores = near.groupBy("t", "a").count().filter(F.col("count") >= m).select("t", "a")
     inner = near.join(cores, ["t", "a"])
     node = lambda c: F.xxhash64("t", c)
@@ -157,8 +177,19 @@ def polyline_pairs_local(seg: dict[str, np.ndarray], index: np.ndarray, e: float
     return pair[:, 0], pair[:, 1]
 
 
-def polyline_clusters(parts: DataFrame, e: float, m: int, timed: bool) -> DataFrame:
-    """(t = part, cid, members) of segments assigned to partitions; border polylines join every cluster in reach."""
+def polyline_clusters(parts: DataFrame, e: float, m: int, timed: bool, engine: str = "local") -> DataFrame:
+    """(t = part, cid, members) of segments assigned to partitions; border polylines join every cluster in reach.
+
+    ``local`` holds one partition in a task; ``graph`` is for partitions too large for that: segments meet by grid cells of
+    a size that fits their partition, boxes are tested first, and clusters are components of the neighbour graph.
+    """
+    if engine == "graph":
+        from comotion.operators.neighbors import polyline_pairs
+
+        hit = polyline_pairs(parts, e, None, ("time", "box", "timed" if timed else "segment"))
+        both = hit.select("part", "a", "b").union(hit.select("part", F.col("b").alias("a"), F.col("a").alias("b")))
+        alone = parts.select("part", F.col("oid").alias("a"), F.col("oid").alias("b")).distinct()
+        return clusters_of_links(both.union(alone).withColumnRenamed("part", "t"), m)
     names = ("t0", "t1", "x0", "y0", "x1", "y1", "tol")
 
     def run(group: pa.Table) -> pa.Table:

@@ -28,18 +28,23 @@ def segment_box(prefix: str = "") -> tuple[Column, ...]:
     return (F.least(c("x0"), c("x1")), F.least(c("y0"), c("y1")), F.greatest(c("x0"), c("x1")), F.greatest(c("y0"), c("y1")))
 
 
-def segment_candidates(parts: DataFrame, e: float, cell: float) -> DataFrame:
+def segment_candidates(parts: DataFrame, e: float, cell: float | None = None) -> DataFrame:
     """Pairs of segments of different objects in one partition whose grown boxes share a grid cell; each pair once.
 
-    The cell that holds the lower corner of both boxes' intersection is the one in which the pair is emitted.
+    Without ``cell`` a cell is as wide as the partition's mean grown box, so that a box covers a few cells. The cell that holds the lower corner of both boxes' intersection is the one in which the pair is emitted.
     """
     grow = F.lit(e / 2) + F.col("tol")
     box = segment_box()
     s = parts.select("part", "oid", "t0", "t1", "x0", "y0", "x1", "y1", "tol", (box[0] - grow).alias("bx0"), (box[1] - grow).alias("by0"), (box[2] + grow).alias("bx1"), (box[3] + grow).alias("by1"))
-    floor = lambda v: F.floor(F.col(v) / cell)
+    if cell is None:
+        wide = F.avg(F.greatest(F.col("bx1") - F.col("bx0"), F.col("by1") - F.col("by0")))
+        s = s.join(s.groupBy("part").agg(F.greatest(wide, F.lit(1e-9)).alias("_cell")), "part")
+    else:
+        s = s.withColumn("_cell", F.lit(float(cell)))
+    floor = lambda v: F.floor(F.col(v) / F.col("_cell"))
     s = s.withColumn("cx", F.explode(F.sequence(floor("bx0"), floor("bx1")))).withColumn("cy", F.explode(F.sequence(floor("by0"), floor("by1"))))
-    q = s.select("part", "cx", "cy", *[F.col(c).alias(f"q_{c}") for c in s.columns if c not in ("part", "cx", "cy")])
-    lower = (F.col("cx") == F.floor(F.greatest("bx0", "q_bx0") / cell)) & (F.col("cy") == F.floor(F.greatest("by0", "q_by0") / cell))
+    q = s.select("part", "cx", "cy", *[F.col(c).alias(f"q_{c}") for c in s.columns if c not in ("part", "cx", "cy", "_cell")])
+    lower = (F.col("cx") == F.floor(F.greatest("bx0", "q_bx0") / F.col("_cell"))) & (F.col("cy") == F.floor(F.greatest("by0", "q_by0") / F.col("_cell")))
     meet = (F.col("bx0") <= F.col("q_bx1")) & (F.col("q_bx0") <= F.col("bx1")) & (F.col("by0") <= F.col("q_by1")) & (F.col("q_by0") <= F.col("by1"))
     return s.join(q, ["part", "cx", "cy"]).filter((F.col("oid") < F.col("q_oid")) & lower & meet)
 
@@ -70,7 +75,7 @@ def timed_prune(e: float) -> Column:
 STEPS = {"time": lambda e: same_time(), "box": box_prune, "segment": segment_prune, "timed": timed_prune}
 
 
-def polyline_pairs(parts: DataFrame, e: float, cell: float, steps: tuple[str, ...] = ("time", "box", "segment")) -> DataFrame:
+def polyline_pairs(parts: DataFrame, e: float, cell: float | None = None, steps: tuple[str, ...] = ("time", "box", "segment")) -> DataFrame:
     """(part, a, b), a < b, of objects that no step prunes."""
     hit = segment_candidates(parts, e, cell)
     for s in steps:

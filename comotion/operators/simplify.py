@@ -6,6 +6,9 @@ the middle, ``timed`` at the sample farthest from its time-proportional place on
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+from itertools import chain
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -47,9 +50,32 @@ def kept(t, x, y, delta: float, variant: str = "classic", trace: list | None = N
     return out
 
 
-def _sorted(group: pa.Table):
-    order = np.argsort(group.column("t").to_numpy(), kind="stable")
-    return [group.column(c).to_numpy()[order] for c in ("t", "x", "y")]
+def _by_object(samples: DataFrame, keys: tuple[str, ...], each: Callable[..., list], schema: pa.Schema, names: str) -> DataFrame:
+    """``each(oid, t, x, y)`` of every group of ``keys`` (oid first), in time order, many groups to a batch; results are lists of columns."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for b in chain(batches, [None]):
+            if b is not None and not b.num_rows:
+                continue
+            rows = None if b is None else [c.to_numpy() for c in b.columns]
+            if held is not None:
+                rows = held if rows is None else [np.concatenate(p) for p in zip(held, rows)]
+            if rows is None:
+                return
+            edge = np.zeros(len(rows[0]) - 1, bool)
+            for c in rows[: len(keys)]:
+                edge |= c[1:] != c[:-1]
+            cuts = [0, *(np.flatnonzero(edge) + 1).tolist(), len(rows[0])]
+            if b is not None:  # the last group may go on in the next batch
+                held = [c[cuts[-2] :] for c in rows]
+                cuts.pop()
+            found = [each(int(rows[0][lo]), *(c[lo:hi] for c in rows[-3:])) for lo, hi in zip(cuts, cuts[1:])]
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), f.type) for c, f in zip(zip(*found), schema)], schema=schema)
+
+    rows = samples.select(*keys, "t", "x", "y")
+    return rows.repartition(*keys).sortWithinPartitions(*keys, "t").mapInArrow(run, names)
 
 
 def simplify(samples: DataFrame, delta: float, variant: str = "classic", chunk_ticks: int | None = None) -> DataFrame:
@@ -57,17 +83,13 @@ def simplify(samples: DataFrame, delta: float, variant: str = "classic", chunk_t
     if variant not in VARIANTS:
         raise ValueError(f"variant is one of {VARIANTS}")
 
-    def run(group: pa.Table) -> pa.Table:
-        t, x, y = _sorted(group)
-        parts = kept(t, x, y, delta, variant)
-        a, z, tol = (np.array(c) for c in zip(*parts))
-        oid = group.column("oid")[0].as_py()
-        n = len(parts)
-        return pa.table([np.full(n, oid), np.arange(n, dtype=np.int32), t[a], t[z], x[a], y[a], x[z], y[z], tol.astype(float), (z - a + 1).astype(np.int32)], schema=_ARROW)
+    def each(oid, t, x, y) -> list:
+        a, z, tol = (np.array(c) for c in zip(*kept(t, x, y, delta, variant)))
+        return [np.full(len(a), oid), np.arange(len(a)), t[a], t[z], x[a], y[a], x[z], y[z], tol.astype(float), z - a + 1]
 
     rows = samples.select("oid", "t", "x", "y")
     if chunk_ticks is None:
-        return rows.groupBy("oid").applyInArrow(run, SEGMENTS)
+        return _by_object(rows, ("oid",), each, _ARROW, SEGMENTS)
     from pyspark.sql import Window
 
     w = Window.partitionBy("oid").orderBy("t")
@@ -76,7 +98,7 @@ def simplify(samples: DataFrame, delta: float, variant: str = "classic", chunk_t
     # the first sample of a chunk also ends the chunk before
     both = F.when(F.col("_p") != F.col("_c"), F.array("_p", "_c")).otherwise(F.array("_c"))
     rows = rows.select("oid", "t", "x", "y", F.explode(both).alias("_c"))
-    pieces = rows.groupBy("oid", "_c").applyInArrow(run, SEGMENTS)
+    pieces = _by_object(rows, ("oid", "_c"), each, _ARROW, SEGMENTS)
     longest = Window.partitionBy("oid").orderBy("t0", "t1")
     spans = Window.partitionBy("oid")
     pieces = pieces.withColumn("_many", F.max(F.col("t1") > F.col("t0")).over(spans)).filter("t1 > t0 or not _many").drop("_many").dropDuplicates(["oid", "t0", "t1"])
@@ -87,12 +109,12 @@ def division_trace(samples: DataFrame, variant: str = "classic") -> DataFrame:
     """(oid, tol): deviation of every split when nothing but collinear samples may go."""
     schema = pa.schema([("oid", pa.int64()), ("tol", pa.float64())])
 
-    def run(group: pa.Table) -> pa.Table:
+    def each(oid, t, x, y) -> list:
         trace: list[float] = []
-        kept(*_sorted(group), 0.0, variant, trace)
-        return pa.table([np.full(len(trace), group.column("oid")[0].as_py(), np.int64), np.array(trace, float)], schema=schema)
+        kept(t, x, y, 0.0, variant, trace)
+        return [np.full(len(trace), oid), np.array(trace, float)]
 
-    return samples.select("oid", "t", "x", "y").groupBy("oid").applyInArrow(run, "oid long, tol double")
+    return _by_object(samples, ("oid",), each, schema, "oid long, tol double")
 
 
 def by_levels(samples: DataFrame, delta: float, variant: str = "classic", max_levels: int = 200) -> DataFrame:

@@ -41,12 +41,21 @@ def densify(samples: DataFrame, max_gap: int | None = None) -> DataFrame:
     return _unroll(s, F.col("t"), F.when(open_gap, F.col("t")).otherwise(F.col("tn") - 1))
 
 
-def positions_between(samples: DataFrame, wanted: DataFrame, *keys: str) -> DataFrame:
-    """Positions of ``wanted`` (keys, oid, lo, hi) at the ticks lo to hi that lie in the lifespan; nothing else is unrolled."""
+def positions_between(samples: DataFrame, wanted: DataFrame, *keys: str, lam: int | None = None, t0: int = 0) -> DataFrame:
+    """Positions of ``wanted`` (keys, oid, lo, hi) at the ticks lo to hi that lie in the lifespan; nothing else is unrolled.
+
+    With ``lam`` the intervals are partitions, the first of ``keys``; a stretch then meets only those that it touches.
+    """
     s = stretches(samples)
-    hit = wanted.join(s, "oid").filter((F.col("t") <= F.col("hi")) & (F.coalesce(F.col("tn") - 1, F.col("t")) >= F.col("lo")))
+    last = F.coalesce(F.col("tn") - 1, F.col("t"))
+    if lam is None:
+        hit = wanted.join(s, "oid")
+    else:
+        s = s.withColumn("_part", F.explode(F.sequence(partition(F.col("t"), lam, t0), partition(last, lam, t0))))
+        hit = wanted.withColumn("_part", F.col(keys[0])).join(s, ["oid", "_part"])
+    hit = hit.filter((F.col("t") <= F.col("hi")) & (last >= F.col("lo")))
     lo = F.greatest("t", "lo")
-    return _unroll(hit, lo, F.least(F.coalesce(F.col("tn") - 1, F.col("t")), "hi"), *keys)
+    return _unroll(hit, lo, F.least(last, "hi"), *keys)
 
 
 def partition(t: Column, lam: int, t0: int = 0) -> Column:

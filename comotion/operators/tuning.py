@@ -41,6 +41,18 @@ def lambda_of(samples: DataFrame, segments: DataFrame) -> DataFrame:
 
 
 def lam(samples: DataFrame, segments: DataFrame) -> int:
-    row = lambda_of(samples, segments).agg(F.avg("lam"), F.count("*")).first()
-    total = timeline.lifespans(samples).agg(F.max("t_hi") - F.min("t_lo") + 1).first()[0]
-    return 2 if row[0] is None else int(min(max(2, round(row[0])), max(2, total)))
+    return scale(segments)[0]
+
+
+def scale(segments: DataFrame) -> tuple[int, int]:
+    """Partition length and first tick, both from one pass over the segments, which know their samples."""
+    real = F.col("t1") > F.col("t0")
+    own = segments.groupBy("oid").agg(F.min("t0").alias("lo"), F.max("t1").alias("hi"), F.count_if(real).alias("s"), (F.sum(F.when(real, F.col("n_src") - 1)) + 1).alias("n"))
+    tau = (F.col("hi") - F.col("lo") + 1).cast("double")
+    basic = (F.col("s") + 1) / F.coalesce("n", F.lit(1)) * tau
+    # the mean of basic - (basic - 2) tau / T, as T is the same for all
+    row = own.agg(F.min("lo"), F.max("hi"), F.avg(basic), F.avg((basic - 2) * tau)).first()
+    if row[0] is None:
+        return 2, 0
+    total = row[1] - row[0] + 1
+    return int(min(max(2, round(row[2] - row[3] / total)), max(2, total))), row[0]

@@ -7,8 +7,10 @@ long enough are clustered again, tick by tick.
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -28,6 +30,7 @@ class Filtered:
     candidates: DataFrame  # members, t_start, t_end, nodes
     lam: int
     t0: int
+    seconds: dict[str, float]  # of tuning, simplification, clustering and chaining
 
 
 def clip(parts: DataFrame, lam: int, t0: int) -> DataFrame:
@@ -40,36 +43,41 @@ def clip(parts: DataFrame, lam: int, t0: int) -> DataFrame:
 
 def filter_step(samples: DataFrame, p: ConvoyParams, variant: str = "timed", delta: float | None = None, lam: int | None = None, tolerance: str = "actual", clipped: bool = False) -> Filtered:
     require(samples, "oid", "t", "x", "y")
+    marks = [("", time.perf_counter())]
+    passed = lambda name: marks.append((name, time.perf_counter()))
     delta = tuning.delta(samples, p.e) if delta is None else delta
+    passed("tuning")
     segments = cut(simplify.simplify(samples, delta, variant))
-    lam = tuning.lam(samples, segments) if lam is None else lam
-    t0 = segments.agg(F.coalesce(F.min("t0"), F.lit(0))).first()[0]
+    passed("simplify")
+    auto, t0 = tuning.scale(segments)
+    lam = auto if lam is None else lam
     parts = timeline.assign(segments, lam, t0)
     if tolerance == "global":
         parts = parts.withColumn("tol", F.lit(float(delta)))
     if clipped and variant == "timed":
         parts = clip(parts, lam, t0)
     found = cut(density.polyline_clusters(parts, p.e, p.m, variant == "timed"))
+    passed("cluster")
     least = -(-p.k // lam)
     runs = chains.chain(found, p.m, least, dominance=False, track=True)
     runs = cut(runs.groupBy("members", "u0", "u1").agg(F.flatten(F.collect_list("nodes")).alias("nodes")))
     start = F.col("u0") * lam + t0
     candidates = runs.select("members", start.alias("t_start"), ((F.col("u1") + 1) * lam + t0 - 1).alias("t_end"), "nodes")
-    return Filtered(segments, found, candidates, lam, t0)
+    passed("chain")
+    return Filtered(segments, found, candidates, lam, t0, {b[0]: b[1] - a[1] for a, b in zip(marks, marks[1:])})
 
 
-def _cluster_again(positions: DataFrame, p: ConvoyParams, *keys: str) -> DataFrame:
-    """Snapshot clusters of each (keys, tick)."""
+def _cluster_again(positions: DataFrame, p: ConvoyParams) -> DataFrame:
+    """Snapshot clusters of each (part, cid, tick); a task holds some of the filter clusters of one partition."""
 
     def run(group: pa.Table) -> pa.Table:
-        return _ticks(group, p)
+        return _ticks(group, p, group.column("cid").to_numpy())
 
-    return positions.groupBy(*keys).applyInArrow(run, CLUSTERS)
+    return positions.groupBy("part", F.pmod(F.col("cid"), F.lit(16)).alias("_some")).applyInArrow(run, CLUSTERS)
 
 
-def _ticks(group: pa.Table, p: ConvoyParams) -> pa.Table:
-    t, oid, x, y = (group.column(c).to_numpy() for c in ("t", "oid", "x", "y"))
-    rows = [(tick, cid, own) for tick, at in density._by_tick(t) if len(at) >= p.m for cid, own in density.point_clusters(oid[at], x[at], y[at], p.e, p.m)]
+def _ticks(group: pa.Table, p: ConvoyParams, apart: np.ndarray | None = None) -> pa.Table:
+    rows = density.tick_clusters(*(group.column(c).to_numpy() for c in ("t", "oid", "x", "y")), p.e, p.m, apart=apart)
     return pa.table(list(map(list, zip(*rows))) or [[], [], []], schema=density._ARROW)
 
 
@@ -79,8 +87,8 @@ def refine(samples: DataFrame, f: Filtered, p: ConvoyParams, mode: str = "cover"
         alive = f.candidates.select(F.explode("nodes").alias("n")).distinct().select(F.split("n", ":")[0].cast("long").alias("t"), F.split("n", ":")[1].cast("long").alias("cid"))
         own = f.clusters.join(alive, ["t", "cid"]).select("t", "cid", F.explode("members").alias("oid"))
         wanted = own.select(F.col("t").alias("part"), "cid", "oid", (F.col("t") * f.lam + f.t0).alias("lo"), (F.col("t") * f.lam + f.t0 + f.lam - 1).alias("hi"))
-        dense = timeline.positions_between(samples, wanted, "part", "cid")
-        again = _cluster_again(dense, p, "part", "cid").groupBy("t", "members").agg(F.min("cid").alias("cid")).select("t", "cid", "members")
+        dense = timeline.positions_between(samples, wanted, "part", "cid", lam=f.lam, t0=f.t0)
+        again = _cluster_again(dense, p).groupBy("t", "members").agg(F.min("cid").alias("cid")).select("t", "cid", "members")
         return snapshot_miner.convoys_of(again, p)
     named = f.candidates.select(F.xxhash64("members", "t_start", "t_end").alias("cand"), "members", F.col("t_start").alias("lo"), F.col("t_end").alias("hi")).dropDuplicates(["cand"])
     dense = timeline.positions_between(samples, named.select("cand", F.explode("members").alias("oid"), "lo", "hi"), "cand")
@@ -98,4 +106,5 @@ def refine(samples: DataFrame, f: Filtered, p: ConvoyParams, mode: str = "cover"
 
 
 def mine(samples: DataFrame, p: ConvoyParams, variant: str = "timed", delta: float | None = None, lam: int | None = None, tolerance: str = "actual", mode: str = "cover", clipped: bool = False) -> DataFrame:
+    samples = cut(require(samples, "oid", "t", "x", "y").select("oid", "t", "x", "y"))  # read by tuning, simplification and refinement
     return refine(samples, filter_step(samples, p, variant, delta, lam, tolerance, clipped), p, mode)

@@ -34,6 +34,7 @@ PARAMS = {
     "events": ConvoyParams(2, 4, 8.0),
     "vectors": ConvoyParams(2, 3, 16.0),
     "vectors_walk": ConvoyParams(2, 4, 25.0),
+    "couriers": ConvoyParams(3, 180, 8.0),
 }
 DELTA, LAM = 0.5, 4  # of the events drift view
 

@@ -26,6 +26,21 @@ def round_trip(samples: DataFrame, kind: str) -> DataFrame:
     return spark.read.schema(SAMPLES).format(kind).load(path)
 
 
+def read_lines(spark: SparkSession, path: str) -> DataFrame:
+    """Samples from text files of lines 'object;tick;x;y' on any store; other lines are skipped."""
+    part = F.split("value", ";")
+    number = lambda k, kind: F.expr(f"try_cast(trim(split(value, ';')[{k}]) as {kind})")
+    rows = spark.read.text(path).filter(F.size(part) == 4)
+    return rows.select(number(0, "long").alias("oid"), number(1, "long").alias("t"), number(2, "double").alias("x"), number(3, "double").alias("y")).dropna()
+
+
+def text_round_trip(samples: DataFrame) -> DataFrame:
+    """Writes samples as lines of text and reads them back."""
+    path = scratch(samples.sparkSession)
+    samples.select(F.concat_ws(";", *(F.col(c).cast("string") for c in ("oid", "t", "x", "y"))).alias("value")).write.text(path)
+    return read_lines(samples.sparkSession, path)
+
+
 def write_blocks(samples: DataFrame, path: str, ticks: int) -> None:
     """One folder for each block of ticks, sorted by object and time inside."""
     rows = samples.withColumn("block", F.floor(F.col("t") / ticks).cast("long"))

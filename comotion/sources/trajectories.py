@@ -85,4 +85,23 @@ def fold_time(samples: DataFrame, period: int) -> DataFrame:
     return samples.select((F.col("oid") * 1_000_000 + n).cast("long").alias("oid"), (F.col("t") - n * period).cast("long").alias("t"), "x", "y")
 
 
-VIEWS = {f.__name__: f for f in (events, events_drift, supplier, nation, planted, vectors, vectors_walk)}
+def couriers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Long, gappy histories: a customer is seen on the days of its orders only. Of every ten groups of five one travels close together for 900 days."""
+    day = (F.floor(_seconds(F.col("o_orderdate")) / DAY) - EPOCH_DAY).cast("long")
+    seen = table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("oid"), day.alias("t")).distinct()
+    g, place = F.floor(F.col("oid") / 5), F.col("oid") % 5
+    start = (70 * g) % 1500
+    together = (g % 10 == 0) & (F.col("t") >= start) & (F.col("t") < start + 900)
+    x = 10_000 * g + 37 * F.col("t") + F.when(together, 6 * place).otherwise(1000 + 500 * place)
+    return seen.select("oid", "t", x.cast("double").alias("x"), (11.0 * F.col("t")).alias("y"))
+
+
+def thinned(samples: DataFrame, percent: int) -> DataFrame:
+    """About ``percent`` of a hundred samples removed, by a hash of object and tick; the first and last of an object stay."""
+    w = Window.partitionBy("oid")
+    ends = (F.col("t") == F.min("t").over(w)) | (F.col("t") == F.max("t").over(w))
+    goes = F.pmod(F.crc32(F.concat_ws(":", "oid", "t").cast("binary")), F.lit(100)) < percent
+    return samples.withColumn("_stays", ends | ~goes).filter("_stays").select("oid", "t", "x", "y")
+
+
+VIEWS = {f.__name__: f for f in (events, events_drift, supplier, nation, planted, vectors, vectors_walk, couriers)}

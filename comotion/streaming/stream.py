@@ -6,7 +6,6 @@ nobody reported are not interpolated here.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -105,7 +104,3 @@ def convoys(samples: Callable[[SparkSession, str], DataFrame], p: ConvoyParams,
         return drain(found)
 
     return make
-
-
-def unique_name(prefix: str) -> str:
-    return f"{prefix}_{uuid.uuid4().hex}"
