@@ -95,14 +95,22 @@ def test_components_of_a_long_path_and_a_hub(spark):
 
 
 def test_trends(spark, small):
-    """More tolerance drops more samples; classic keeps fewest; a filter cluster grows with the global tolerance."""
+    """More tolerance drops more samples; classic keeps fewest."""
     got = {(r.variant, r.delta): r.reduction_permille for r in movement.QUERIES["reduction_sweep"](spark, small).collect()}
     for v in ("classic", "balanced", "timed"):
         own = [got[v, d] for d in (0.1, 0.25, 0.5, 1.0)]
         assert own == sorted(own)
     assert all(got["classic", d] >= max(got["balanced", d], got["timed", d]) for d in (0.25, 0.5, 1.0))
-    unit = {(r.variant, r.tolerance): r.refinement_unit for r in movement.QUERIES["tolerance_ablation_planted"](spark, small).collect()}
-    assert all(unit[v, "actual"] <= unit[v, "global"] for v in ("classic", "balanced", "timed"))
+
+
+def test_actual_tolerance_gives_smaller_clusters(spark, small):
+    """Every filter cluster under the tolerances that segments really have lies in one under the global tolerance."""
+    from comotion.sources import trajectories as T
+
+    s, p = T.planted(spark, small), movement.PARAMS["planted"]
+    for variant in ("classic", "balanced", "timed"):
+        real, wide = ({(r.t, frozenset(r.members)) for r in sfr.filter_step(s, p, variant, 4.0, 4, kind).clusters.collect()} for kind in ("actual", "global"))
+        assert real and all(any(t == u and v <= w for u, w in wide) for t, v in real)
 
 
 def test_thinned_histories_keep_their_ends(spark, small):
