@@ -321,7 +321,7 @@ def spans(docs: DataFrame, least: int = LEAST) -> DataFrame:
     live = cut(every.join(cut(pieces.select("fp", (F.col("least") == F.col("most")).alias("one"))), "fp"))
     mixed = live.filter("not one").drop("one")
     contexts = cut(mixed.groupBy("fp", "ctx").agg(F.count("*").alias("c"), F.min(F.struct("key", "pos")).alias("at")))
-    group = contexts.groupBy("fp").agg(F.min("c").alias("least"), F.count("*").alias("m")).filter("least = 1").select("fp", "m")
+    group = cut(contexts.groupBy("fp").agg(F.min("c").alias("least"), F.count("*").alias("m")).filter("least = 1").select("fp", "m"))
     wanted = cut(contexts.join(group, "fp").select("fp", "ctx", "at.*", "m"))
     most = wanted.agg(F.coalesce(F.max("m"), F.lit(0))).first()[0]
     held = _contexts(docs, wanted.filter(F.col("m") <= LARGE), least)
