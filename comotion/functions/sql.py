@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import SparkSession
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
+from comotion.functions.geometry import np_cpa, np_segment_segment
 from comotion.model import ConvoyParams
 
 _POINT = "px double, py double, x0 double, y0 double, x1 double, y1 double"
@@ -28,6 +32,52 @@ _MOVING = ", ".join(f"{p}{c}{k} double" for p in "ab" for k in (0, 1) for c in "
 SCALARS[f"cpa_dist({_MOVING})"] = f"CASE WHEN {_FROM} <= {_TO} THEN point_seg_dist(0D, 0D, {_gap('x', _FROM)}, {_gap('y', _FROM)}, {_gap('x', _TO)}, {_gap('y', _TO)}) END"
 
 
+def lifetime_union(start: str, end: str) -> Column:
+    """Aggregate: the union of closed tick intervals as an ordered array of (t_start, t_end); adjoining ones become one. Nulls are left out.
+
+    A group's distinct intervals meet in one task: intervals of groups, not samples.
+    """
+    spans = F.sort_array(F.collect_set(F.when(F.col(start).isNotNull() & F.col(end).isNotNull(), F.struct(F.col(start).cast("long").alias("t_start"), F.col(end).cast("long").alias("t_end")))))
+    none = F.array().cast("array<struct<t_start:bigint,t_end:bigint>>")
+
+    def add(done: Column, span: Column) -> Column:
+        last = F.element_at(done, -1)
+        longer = F.struct(last["t_start"].alias("t_start"), F.greatest(last["t_end"], span["t_end"]).alias("t_end"))
+        meets = (F.size(done) > 0) & (F.get(done, F.size(done) - 1)["t_end"] + 1 >= span["t_start"])
+        return F.when(meets, F.concat(F.slice(done, 1, F.size(done) - 1), F.array(longer))).otherwise(F.concat(done, F.array(span)))
+
+    return F.aggregate(spans, none, add)
+
+
+def polyline_omega(a: Column, b: Column, timed: bool = False) -> Column:
+    """Least distance over pairs of time-overlapping segments of two polylines: by segments, or at the closest approach if ``timed``.
+
+    Polylines are arrays of structs (t0, x0, y0, t1, x1, y1). Null if either is null or empty, or if no segments overlap in time.
+    """
+    names = ("t0", "x0", "y0", "t1", "x1", "y1")
+
+    def lines(column: pa.Array) -> list:
+        flat = column.flatten()
+        values = [flat.field(n).to_numpy(zero_copy_only=False) for n in names]
+        ends = np.cumsum([len(v) if v.is_valid else 0 for v in column])
+        return [[v[z - n : z] for v in values] for z, n in zip(ends, np.diff(ends, prepend=0))]
+
+    def least(p: list, q: list) -> float | None:
+        best = np.inf
+        rows = max(1, (1 << 20) // max(1, len(q[0])))  # pairs held at a time
+        for k in range(0, len(p[0]), rows):
+            s, r = [v[k : k + rows, None] for v in p], [v[None, :] for v in q]
+            d = np_cpa(s, r) if timed else np_segment_segment([s[i] for i in (1, 2, 4, 5)], [r[i] for i in (1, 2, 4, 5)])
+            meet = (s[0] <= r[3]) & (r[0] <= s[3])
+            best = min(best, np.where(meet, d, np.inf).min(initial=np.inf))
+        return float(best) if np.isfinite(best) else None
+
+    def run(x: pa.Array, y: pa.Array) -> pa.Array:
+        return pa.array([least(p, q) for p, q in zip(lines(x), lines(y))], pa.float64())
+
+    return F.arrow_udf(run, "double")(a, b)
+
+
 @udtf(returnType="oid long, t0 long, t1 long, tol double")
 class SimplifyTrack:
     """``simplify_track(TABLE(samples) PARTITION BY oid ORDER BY t, delta, variant)``"""
@@ -40,8 +90,6 @@ class SimplifyTrack:
         self.args = (delta, variant)
 
     def terminate(self):
-        import numpy as np
-
         from comotion.operators.simplify import kept
 
         if self.rows:

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -23,11 +21,12 @@ def cluster_links(clusters: DataFrame, theta: float) -> DataFrame:
     return both.filter(F.col("n") * 1000 >= F.lit(round(theta * 1000)) * (F.col("na") + F.col("nb") - F.col("n"))).select("t", "cid", (F.col("t") + 1).alias("t2"), "cid2")
 
 
-def overlap_chain(clusters: DataFrame, theta: float, members: str = "common", max_paths: int = 100_000) -> DataFrame:
+def overlap_chain(clusters: DataFrame, theta: float, members: str = "common", max_sets: int = 100_000) -> DataFrame:
     """(members, t_start, t_end, lifetime) of maximal chains of two or more clusters; no least lifetime.
 
-    Chains live within connected pieces of the link graph, each of which is one task. More than ``max_paths`` chains in a
-    piece raise an error instead of being dropped.
+    Chains live within connected pieces of the link graph, each of which is one task. A task goes through its clusters in
+    order of time and keeps (start, set) pairs, not paths; more than ``max_sets`` of them at a cluster, or in the result of
+    a piece, raise an error instead of being dropped.
     """
     from comotion.components import connected
 
@@ -41,21 +40,22 @@ def overlap_chain(clusters: DataFrame, theta: float, members: str = "common", ma
 
     def walk(nodes: pa.Table, link: pa.Table) -> pa.Table:
         held = {r["node"]: (r["t"], frozenset(r["members"])) for r in nodes.to_pylist()}
-        after: dict[int, list[int]] = {}
+        after: dict[int, set[int]] = {}
         for r in link.to_pylist():
-            after.setdefault(r["a"], []).append(r["b"])
+            after.setdefault(r["a"], set()).add(r["b"])
         later = {b for bs in after.values() for b in bs}
-        rows, todo = set(), [(n, [n]) for n in held if n not in later]
-        while todo:
-            n, path = todo.pop()
-            if nexts := after.get(n):
-                todo += [(b, [*path, b]) for b in sorted(set(nexts))]
-            elif len(path) > 1:
-                sets = [held[k][1] for k in path]
-                joined = reduce(frozenset.union if members == "union" else frozenset.intersection, sets)
-                rows.add((tuple(sorted(joined)), held[path[0]][0], held[n][0]))
-            if len(rows) > max_paths:
-                raise ValueError("more chains than max_paths")
+        join = frozenset.union if members == "union" else frozenset.intersection
+        # what chains that end at a cluster have in common; chains that agree in start and set go on as one
+        open_at: dict[int, set] = {n: {(held[n][0], held[n][1])} for n in held if n not in later}
+        rows = set()
+        for n in sorted(held, key=lambda n: held[n][0]):
+            t, states = held[n][0], open_at.pop(n)
+            if len(states) > max_sets or len(rows) > max_sets:
+                raise ValueError("more chains than max_sets")
+            for b in after.get(n, ()):
+                open_at.setdefault(b, set()).update((s, join(v, held[b][1])) for s, v in states)
+            if n not in after:
+                rows.update((tuple(sorted(v)), s, t) for s, v in states if s < t)
         return chains._table([(list(v), s, z) for v, s, z in sorted(rows)], out)
 
     found = keyed.groupBy("component").cogroup(edges.groupBy("piece")).applyInArrow(walk, "members array<long>, t_start long, t_end long")

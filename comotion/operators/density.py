@@ -127,18 +127,20 @@ def snapshot_clusters(points: DataFrame, e: float, m: int, border: str = "all",
 
 
 def graph_clusters(points: DataFrame, e: float, m: int) -> DataFrame:
-    """The same for ticks too large for one task: grid join, counts, distributed components, border join."""
-    from comotion.operators.neighbors import pairs
+    """The same for ticks too large for one task: grid join without the inside of crowded cells, counts, distributed components, border join."""
+    from comotion.operators.neighbors import pairs_beyond_core_cells
 
-    return clusters_of_links(pairs(points, e), m)
+    return clusters_of_links(*pairs_beyond_core_cells(points, e, m), m)
 
 
-def clusters_of_links(near: DataFrame, m: int) -> DataFrame:
-    """(t, cid, members) from neighbours (t, a, b), both ways and each with itself."""
+def clusters_of_links(near: DataFrame, sure: DataFrame | None, m: int) -> DataFrame:
+    """(t, cid, members) from neighbours (t, a, b), both ways and each with itself; ``sure`` are cores (t, a) whose pairs needn't be whole."""
     from comotion.components import cut
 
     near = cut(near)
     cores = near.groupBy("t", "a").count().filter(F.col("count") >= m).select("t", "a")
+    if sure is not None:
+        cores = cores.union(sure).distinct()
     inner = near.join(cores, ["t", "a"])
     node = lambda c: F.xxhash64("t", c)
     linked = inner.join(cores.select("t", F.col("a").alias("b")), ["t", "b"]).select(node("a").alias("a"), node("b").alias("b"))
@@ -189,7 +191,7 @@ def polyline_clusters(parts: DataFrame, e: float, m: int, timed: bool, engine: s
         hit = polyline_pairs(parts, e, None, ("time", "box", "timed" if timed else "segment"))
         both = hit.select("part", "a", "b").union(hit.select("part", F.col("b").alias("a"), F.col("a").alias("b")))
         alone = parts.select("part", F.col("oid").alias("a"), F.col("oid").alias("b")).distinct()
-        return clusters_of_links(both.union(alone).withColumnRenamed("part", "t"), m)
+        return clusters_of_links(both.union(alone).withColumnRenamed("part", "t"), None, m)
     names = ("t0", "t1", "x0", "y0", "x1", "y1", "tol")
 
     def run(group: pa.Table) -> pa.Table:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -23,6 +25,40 @@ def pairs(points: DataFrame, e: float, method: str = "grid") -> DataFrame:
     return a.join(b, ["t", "cx", "cy"]).filter(near).select("t", "a", "b")
 
 
+def core_cells(points: DataFrame, e: float, m: int) -> DataFrame:
+    """(t, cx, cy, n, least) of cells no wider than e with m or more points: all of them are core and share a cluster.
+
+    Sides are e / sqrt(2); that all points of a cell are within e is tested on their bounding box, so rounding can't admit one.
+    """
+    wide, high = F.max("x") - F.min("x"), F.max("y") - F.min("y")
+    cells = _fine(points, e).groupBy("t", "cx", "cy").agg(F.count("*").alias("n"), F.min("oid").alias("least"), (wide * wide + high * high).alias("_d2"))
+    return cells.filter((F.col("n") >= m) & (F.col("_d2") <= F.lit(float(e)) * F.lit(float(e)))).drop("_d2")
+
+
+def _fine(points: DataFrame, e: float) -> DataFrame:
+    side = float(e) / math.sqrt(2) if e > 0 else 1.0
+    return points.select("oid", "t", "x", "y", F.floor(F.col("x") / side).alias("cx"), F.floor(F.col("y") / side).alias("cy"))
+
+
+def pairs_beyond_core_cells(points: DataFrame, e: float, m: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs (t, a, b) that give the same clusters as all of ``pairs``, and the cores (t, a) known without counting.
+
+    Points of a core cell are paired with the cell's least object and with themselves, and not with each other.
+    """
+    p = _fine(points, e).join(core_cells(points, e, m).drop("n"), ["t", "cx", "cy"], "left")
+    around = F.array(*(F.struct(F.lit(i).alias("i"), F.lit(j).alias("j")) for i in range(-2, 3) for j in range(-2, 3)))
+    own = (F.col("s.i") == 0) & (F.col("s.j") == 0)
+    b = p.select("t", F.col("oid").alias("b"), F.col("x").alias("bx"), F.col("y").alias("by"), "cx", "cy", "least", F.explode(around).alias("s"))
+    b = b.filter(~own | F.col("least").isNull()).select("t", "b", "bx", "by", (F.col("cx") + F.col("s.i")).alias("cx"), (F.col("cy") + F.col("s.j")).alias("cy"))
+    a = p.select("t", F.col("oid").alias("a"), F.col("x").alias("ax"), F.col("y").alias("ay"), "cx", "cy")
+    near = dist2_pp(F.col("ax"), F.col("ay"), F.col("bx"), F.col("by")) <= F.lit(float(e)) * F.lit(float(e))
+    apart = a.join(b, ["t", "cx", "cy"]).filter(near).select("t", "a", "b")
+    sure = p.filter(F.col("least").isNotNull())
+    ends = F.array_distinct(F.array(*(F.struct(F.col(x).alias("a"), F.col(y).alias("b")) for x, y in (("oid", "oid"), ("oid", "least"), ("least", "oid")))))
+    star = sure.select("t", F.explode(ends).alias("s")).select("t", "s.a", "s.b")
+    return apart.unionByName(star), sure.select("t", F.col("oid").alias("a"))
+
+
 def segment_box(prefix: str = "") -> tuple[Column, ...]:
     c = lambda n: F.col(prefix + n)
     return (F.least(c("x0"), c("x1")), F.least(c("y0"), c("y1")), F.greatest(c("x0"), c("x1")), F.greatest(c("y0"), c("y1")))

@@ -146,6 +146,7 @@ _dense = lambda s: timeline.densify(s).select("oid", "t", "x", "y")  # noqa: E73
 _near = f"with recursive {O.clusters('planted', _P.m, _P.e)}"
 register("neighborhood_pairs", on("planted", lambda s: neighbors.pairs(_dense(s), _P.e)), f"{_near} select t, a, b from p")
 register("neighborhood_nested", on("planted", lambda s: neighbors.pairs(_dense(s), _P.e, "nested")), f"{_near} select t, a, b from p")
+register("core_cells", on("planted", lambda s: neighbors.core_cells(_dense(s), _P.e, _P.m)), f"with {O.dense('planted')}, z as (select t, cast(floor(x/{_P.e / 2 ** 0.5!r}) as bigint) as cx, cast(floor(y/{_P.e / 2 ** 0.5!r}) as bigint) as cy, count(*) as n, min(oid) as least, (max(x)-min(x))*(max(x)-min(x)) + (max(y)-min(y))*(max(y)-min(y)) as d2 from d group by 1, 2, 3) select t, cx, cy, n, least from z where n >= {_P.m} and d2 <= {_P.e * _P.e!r}")
 register("core_points", on("planted", lambda s: neighbors.pairs(_dense(s), _P.e).groupBy("t", "a").agg(F.count("*").alias("n")).filter(F.col("n") >= _P.m)), f"{_near} select t, a, count(*) as n from p group by t, a having count(*) >= {_P.m}")
 
 

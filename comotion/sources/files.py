@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import io
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -41,6 +42,14 @@ def text_round_trip(samples: DataFrame) -> DataFrame:
     return read_lines(samples.sparkSession, path)
 
 
+def track_round_trip(samples: DataFrame) -> DataFrame:
+    """Writes samples as lines of text and reads the files through the ``track_lines`` data source."""
+    spark, path = samples.sparkSession, scratch(samples.sparkSession)
+    samples.select(F.concat_ws(";", *(F.col(c).cast("string") for c in ("oid", "t", "x", "y"))).alias("value")).write.text(path)
+    spark.dataSource.register(TrackLines)
+    return spark.read.format("track_lines").option("paths", ";".join(spark.read.text(path).inputFiles())).load()
+
+
 def write_blocks(samples: DataFrame, path: str, ticks: int) -> None:
     """One folder for each block of ticks, sorted by object and time inside."""
     rows = samples.withColumn("block", F.floor(F.col("t") / ticks).cast("long"))
@@ -68,7 +77,10 @@ class TrackReader(DataSourceReader):
         return [TrackPartition(p) for p in self.paths]
 
     def read(self, partition):
-        with open(partition.path) as lines:
+        from pyarrow.fs import FileSystem
+
+        store, path = FileSystem.from_uri(partition.path)
+        with store.open_input_stream(path) as stream, io.TextIOWrapper(stream, encoding="utf-8") as lines:
             for line in lines:
                 parts = line.strip().split(";")
                 if len(parts) == 4:
@@ -76,7 +88,7 @@ class TrackReader(DataSourceReader):
 
 
 class TrackLines(DataSource):
-    """``spark.read.format("track_lines").option("paths", "a;b")``: lines 'object;tick;x;y', other lines are skipped. Files must be local to every worker."""
+    """``spark.read.format("track_lines").option("paths", "a;b")``: lines 'object;tick;x;y', lines with another number of fields are skipped. Paths or URIs of any store that Arrow reads; a file is a task."""
 
     @classmethod
     def name(cls) -> str:

@@ -66,6 +66,29 @@ def deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drain(twice.select("event_id", "user_id"))
 
 
+def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(n_rows, n_late): rows whose time the watermark has passed when they come, as the query's own progress counts them.
+
+    The later half of the time span is streamed first, then the earlier half; the second run goes on from the first's checkpoint.
+    """
+    rows = table(spark, sf_dir, "events")
+    half = (_seconds(F.col("ts")).cast("double")).alias("s")
+    lo, hi = rows.select(half).agg(F.min("s"), F.max("s")).first()
+    cut = (lo or 0) + ((hi or 0) - (lo or 0)) / 2
+    later, place = _seconds(F.col("ts")).cast("double") >= cut, scratch(spark)
+    seen, late = 0, 0
+    for part in (later, ~later):
+        rows.filter(part).write.mode("append").parquet(f"{place}/in")
+        s = spark.readStream.schema(rows.schema).parquet(f"{place}/in").withColumn("ts", F.timestamp_seconds(_seconds(F.col("ts"))))
+        s = s.select("event_id", "ts").withWatermark("ts", "6 hours").dropDuplicatesWithinWatermark(["event_id"])
+        q = s.writeStream.format("noop").option("checkpointLocation", f"{place}/state").trigger(availableNow=True).start()
+        q.awaitTermination()
+        for p in q.recentProgress:
+            seen += p.numInputRows
+            late += sum(o.numRowsDroppedByWatermark for o in p.stateOperators)
+    return spark.createDataFrame([(seen, late)], "n_rows long, n_late long")
+
+
 def with_static(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Stream-static join: users against customers of the same number."""
     who = table(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment")

@@ -54,3 +54,14 @@ register("stream_sliding", stream.sliding, f"select t, count(*) as n from (selec
 register("stream_session", stream.sessions, "with g as (select user_id, epoch_us(ts) as us, coalesce(epoch_us(ts)//1000000 - lag(epoch_us(ts)//1000000) over (partition by user_id order by ts) >= 43200, true) as fresh from events), h as (select *, sum(cast(fresh as int)) over (partition by user_id order by us rows unbounded preceding) as k from g) select user_id, min(us)//1000000 as start_s, count(*) as n from h group by user_id, k")
 register("stream_dedup", stream.deduplicated, "select event_id, user_id from events")
 register("stream_static_join", stream.with_static, "select c_mktsegment, count(*) as n from events join customer on user_id = c_custkey group by 1")
+register("stream_late", stream.late_rows, "with s as (select epoch_us(ts) // 1000000 as s from events), c as (select min(s) + (max(s) - min(s)) / 2 as cut, max(s) - 21600 as mark from s) select count(*) as n_rows, count(*) filter (where s < cut and s <= mark) as n_late from s, c")
+register("source_track_lines", lambda spark, d: files.track_round_trip(T.planted(spark, d)), _SAMPLE_SQL)
+
+
+def _lifetimes(s: DataFrame) -> DataFrame:
+    found = snapshot_miner.mine(s, PARAMS["planted"]).select(F.explode("members").alias("oid"), "t_start", "t_end")
+    return found.groupBy("oid").agg(functions.lifetime_union("t_start", "t_end").alias("spans")).select("oid", F.inline("spans"))
+
+
+register("agg_lifetime_union", lambda spark, d: _lifetimes(T.planted(spark, d)), O.mine("planted", 3, 12, 8.0, """, e as (select unnest(members) as oid, t0, t1 from v), f as (select *, coalesce(t0 > max(t1) over (partition by oid order by t0, t1 rows between unbounded preceding and 1 preceding) + 1, true) as fresh from e),
+    h as (select *, sum(cast(fresh as int)) over (partition by oid order by t0, t1 rows unbounded preceding) as k from f) select oid, min(t0) as t_start, max(t1) as t_end from h group by oid, k"""))

@@ -95,6 +95,25 @@ def test_all_methods_agree_with_brute_force(spark, seed):
     assert found(sfr.mine(s, p, "classic", 0.5, 4, tolerance="global")) == want
 
 
+@pytest.mark.parametrize("m", (3, 6))
+def test_crowded_cells_equal_all_pairs(spark, m):
+    rng = np.random.default_rng(m)
+    spots = rng.normal(0, 6, (6, 2))
+    rows = [(o, t, *(spots[rng.integers(4)] + rng.choice([0.0, 0.25, 1.0, 2.0], 2))) for t in range(2) for o in range(90)]
+    s = frame(spark, rows)
+    got = {(r.t, r.cid, tuple(r.members)) for r in density.graph_clusters(s, 1.0, m).collect()}
+    by_tick = ((t, [r for r in rows if r[1] == t]) for t in range(2))
+    want = {(t, c, tuple(v)) for t, own in by_tick for c, v in density.point_clusters(*(np.array([r[k] for r in own]) for k in (0, 2, 3)), 1.0, m)}
+    assert got == want
+    cells = neighbors.core_cells(s, 1.0, m)
+    assert cells.count() > 0
+    near, sure = neighbors.pairs_beyond_core_cells(s, 1.0, m)
+    every = neighbors.pairs(s, 1.0)
+    assert near.count() < every.count() and near.exceptAll(every).isEmpty()
+    cores = every.groupBy("t", "a").count().filter(F.col("count") >= m).select("t", "a")
+    assert sure.exceptAll(cores).isEmpty()
+
+
 def test_graph_engine_equals_local(spark):
     s = frame(spark, walk(5))
     p = ConvoyParams(3, 3, 1.5)
@@ -215,8 +234,16 @@ def test_overlap_threshold(spark):
     spans = lambda th: sorted((r.t_start, r.t_end) for r in baselines.overlap_chain(c, th).collect())
     assert spans(0.8) == [(0, 3)]
     assert spans(0.9) == [(0, 1), (2, 3)]
-    with pytest.raises(Exception, match="max_paths"):
-        baselines.overlap_chain(c, 0.9, max_paths=0).collect()
+    with pytest.raises(Exception, match="max_sets"):
+        baselines.overlap_chain(c, 0.9, max_sets=0).collect()
+
+
+def test_chains_that_split_and_meet_again(spark):
+    """2 to the 12th paths, of which those with the same set go on as one."""
+    rows = [(2 * i, 1, list(range(8))) for i in range(13)] + [(2 * i + 1, c, list(range(c, c + 7))) for i in range(12) for c in (0, 1)]
+    c = spark.createDataFrame(rows, "t long, cid long, members array<long>")
+    got = {(tuple(r.members), r.t_start, r.t_end) for r in baselines.overlap_chain(c, 0.8, max_sets=10).collect()}
+    assert got == {(tuple(range(a, z)), 0, 24) for a, z in ((0, 7), (1, 8), (1, 7))}
 
 
 def test_disc_cannot_hold_a_line(spark):
