@@ -56,7 +56,8 @@ def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    s = events(spark, sf_dir).withWatermark("ts", "40 days").groupBy(F.session_window("ts", "12 hours"), "user_id").agg(F.count("*").alias("n"))
+    """A gap of twelve hours or more ends a session. Spark joins sessions that only touch, and times are whole seconds: hence the window is a microsecond short."""
+    s = events(spark, sf_dir).withWatermark("ts", "40 days").groupBy(F.session_window("ts", "43199999999 microseconds"), "user_id").agg(F.count("*").alias("n"))
     return drain(s.select("user_id", F.col("session_window.start").cast("long").alias("start_s"), "n"), "complete")
 
 
