@@ -34,12 +34,20 @@ WINDOW = 4096
 GRID = 32
 END_ID = 2
 MEMO = 450_000
+PLAIN = 1_000_000  # words of plain letters that a worker keeps, some 50 bytes each
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 #: ASCII marks other than the apostrophe: after a letter the tokenizer splits before them.
 _MARKS = "".join(chr(i) for i in range(33, 127) if not chr(i).isalnum() and chr(i) != "'")
 _RUN = 2048  # new words in one call of the tokenizer
+_GAP, _MARK = np.zeros(256, bool), np.zeros(256, bool)
+_GAP[[32, *range(9, 14)]] = True
+_MARK[list(_MARKS.encode())] = True
+_PLAIN = "^[a-zÀ-ÖØ-öø-ÿ]+$"
+#: Plain words known so far, their ids end to end, and where the ids of each begin and how many there are.
+_NONE = (pa.array([], pa.large_string()), np.zeros(0, "<u4"), np.zeros(0, np.int64), np.zeros(0, np.int64))
+_ENDING = 8  # marks at a word's end that are looked through
 
 
 class Tokens:
@@ -52,6 +60,7 @@ class Tokens:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.memo: dict[str, bytes] = {"": b""}
+        self.plain = _NONE
         vocabulary = self.tokenizer.get_vocab()
         self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
         self.closes[[i for token, i in vocabulary.items() if token.endswith("</w>")]] = True
@@ -95,27 +104,86 @@ class Tokens:
     def packed(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts of a string column, end to end, and the offsets of each text in them.
 
-        ASCII capitals are lower-cased and gaps cut here already; the tokenizer would do both. Only distinct parts are looked up.
+        ASCII capitals are lower-cased and gaps cut here already; the tokenizer would do both. Only distinct parts are looked
+        up; those of plain letters, nearly all, are remembered in arrays and never become Python strings of their own.
         """
-        data, offsets = text_bytes(column)
-        low = pa.Array.from_buffers(pa.large_string(), len(column), [None, pa.py_buffer(offsets), pa.py_buffer(_LOWER[data])])
-        split = pc.ascii_split_whitespace(low)
-        coded = pc.list_flatten(split).dictionary_encode()
-        words = coded.dictionary.to_pylist()
+        coded, at = parts(*text_bytes(column))
+        own = coded.dictionary
+        known, pool, starts, sizes = self.plain
+        spot = pc.fill_null(pc.index_in(own, value_set=known), -1).to_numpy()
+        plain = (spot < 0) & pc.match_substring_regex(own, _PLAIN).to_numpy(zero_copy_only=False)
+        if plain.any():
+            new = own.filter(pa.array(plain))
+            ids, size = self._encoded(new)
+            spot = spot.copy()
+            spot[plain] = np.arange(len(known), len(known) + len(new))
+            known = pa.concat_arrays([known, new])
+            starts = np.concatenate((starts, len(pool) + np.cumsum(size) - size))
+            pool, sizes = np.concatenate((pool, ids)), np.concatenate((sizes, size))
+            self.plain = (known, pool, starts, sizes) if len(known) <= PLAIN else _NONE
+        odd = np.flatnonzero(spot < 0)
+        words = own.take(pa.array(odd)).to_pylist()
         if len(self.memo) > MEMO:
             self.memo = {"": b""}
         if new := set(words).difference(self.memo):
             self._learn(new)
-        own = list(map(self.memo.__getitem__, words))
-        ids = np.frombuffer(b"".join(own), "<u4")
-        size = np.fromiter(map(len, own), np.int64, len(own)) // 4
-        start = np.cumsum(size) - size
+        rest = [self.memo[w] for w in words]
+        start, size = np.zeros(len(own), np.int64), np.zeros(len(own), np.int64)
+        size[odd] = np.fromiter(map(len, rest), np.int64, len(rest)) // 4
+        start[odd] = len(pool) + np.cumsum(size[odd]) - size[odd]
+        held = spot >= 0
+        start[held], size[held] = starts[spot[held]], sizes[spot[held]]
+        pool = np.concatenate((pool, np.frombuffer(b"".join(rest), "<u4")))
         codes = coded.indices.to_numpy()
         n = size[codes]
         ends = np.cumsum(n)
         spread = np.arange(ends[-1] if len(ends) else 0) + np.repeat(start[codes] - ends + n, n)
-        parts = np.concatenate(([0], np.cumsum(pc.fill_null(pc.list_value_length(split), 0).to_numpy())))
-        return ids[spread], np.concatenate(([0], ends))[parts]
+        return pool[spread], np.concatenate(([0], ends))[at]
+
+    def _encoded(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids, end to end, and their numbers of words of letters: such a word is one pre-token, which ends in the only id that closes a word."""
+        bounds = [*range(0, len(words), _RUN), len(words)]
+        runs = pc.binary_join(pa.ListArray.from_arrays(bounds, words.cast(pa.string())), " ").to_pylist()
+        pool, sizes = [], []
+        for lo, hi, e in zip(bounds, bounds[1:], self.tokenizer.encode_batch_fast(runs, add_special_tokens=False)):
+            ids = np.array(e.ids, "<u4")
+            size = np.diff(np.flatnonzero(self.closes[ids]), prepend=-1)
+            if len(size) != hi - lo:  # some letter becomes more than one pre-token
+                each = self.tokenizer.encode_batch_fast(words[lo:hi].to_pylist(), add_special_tokens=False)
+                ids, size = np.array([i for e in each for i in e.ids], "<u4"), np.array([len(e.ids) for e in each])
+            pool.append(ids)
+            sizes.append(size)
+        return np.concatenate(pool), np.concatenate(sizes)
+
+
+def parts(data: np.ndarray, offsets: np.ndarray) -> tuple[pa.DictionaryArray, np.ndarray]:
+    """The parts of all texts, lower-cased in ASCII and encoded by a dictionary, and the number of parts before each text and in all.
+
+    Parts end at gaps, and before marks that end a word after a letter of ``_PLAIN``: there the tokenizer splits too.
+    """
+    data = _LOWER[data]
+    solid = ~_GAP[data]
+    first = solid.copy()
+    first[1:] &= ~solid[:-1]
+    heads = offsets[:-1][np.diff(offsets) > 0]
+    first[heads] = solid[heads]
+    starts = np.flatnonzero(first)
+    closed = np.concatenate((starts[1:], [len(data)])) if len(starts) else starts
+    kept = np.zeros(len(data) + 1, np.int32)  # bytes before each place, without gaps
+    np.cumsum(solid, out=kept[1:])
+    last = starts + kept[closed] - kept[starts] - 1  # a part has no gap inside
+    at, low = last, starts
+    for _ in range(_ENDING):
+        mark = _MARK[data[at]] & (at > low)
+        at, low = at[mark] - 1, low[mark]
+        if not len(at):
+            break
+        here = data[at]
+        wide = (here >= 0x80) & (here != 0x97) & (here != 0xB7) & (at > low) & (data[np.maximum(at - 1, 0)] == 0xC3)
+        first[at[((here >= 97) & (here <= 122)) | wide] + 1] = True
+    starts = np.flatnonzero(first)
+    own = pa.Array.from_buffers(pa.large_string(), len(starts), [None, pa.py_buffer(np.append(kept[starts], kept[-1]).astype(np.int64)), pa.py_buffer(data[solid])])
+    return own.dictionary_encode(), np.searchsorted(starts, offsets)
 
 
 @lru_cache(maxsize=1)
@@ -130,7 +198,7 @@ def pieces(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t, end = tokens(path), END_ID.to_bytes(4, "little")
-        for b in slices(batches, 2 << 20):
+        for b in slices(batches, 8 << 20):
             ids, offsets = t.packed(b.column(1))
             rows = []
             for key, lo, hi in zip(b.column(0).to_pylist(), offsets.tolist(), offsets[1:].tolist()):
